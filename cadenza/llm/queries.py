@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cadenza.llm import decontamination, near_dedup, packing, tokens
+from cadenza.llm import decontamination, near_dedup, packing, tokens, toxicity
 from cadenza.llm.common import table
 
 
@@ -17,6 +17,16 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return str(public_tokenizers.path(name))
 
 
+#: In order: a text that isn't fit to train on at all, then a toxic one.
+TOXICITY_CATEGORIES = {"unfit": "quality = 0", "toxic": "toxic = 1"}
+
+
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    chain = toxicity.train(docs, table(spark, sf_dir, "labels"), TOXICITY_CATEGORIES)
+    return toxicity.score(docs, chain).select("doc_id", "p_unfit", "p_toxic", F.col("rejected").alias("toxic"))
+
+
 def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontamination.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), "contaminated")
@@ -36,6 +46,7 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_toxicity": op1_toxicity,
         "op2_decontamination": op2_decontamination,
         "op6_near_duplicates": op6_near_duplicates,
         "op7_token_counts": op7_token_counts,
