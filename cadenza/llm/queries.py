@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cadenza.llm import decontamination, near_dedup, packing, tokens, toxicity
+from cadenza.llm import decontamination, line_dedup, near_dedup, packing, tokens, toxicity
 from cadenza.llm.common import table
 
 
@@ -40,6 +40,11 @@ def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_dedup.drop_repeated(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", F.col("__n_lines").alias("n_lines"), F.col("__n_removed").alias("n_removed"), F.sha2("text", 256).alias("text_sha256"))
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -50,6 +55,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_decontamination": op2_decontamination,
         "op6_near_duplicates": op6_near_duplicates,
         "op7_token_counts": op7_token_counts,
+        "op8_line_dedup": op8_line_dedup,
         "op9_packing": op9_packing,
     }
 
@@ -72,5 +78,26 @@ FROM w LEFT JOIN hits USING (doc_id) LEFT JOIN its USING (doc_id)
 """
 
 
+#: Lines with the start of a chunk marked, chunks, first occurrences, and how far the lines beside them agree.
+LINE_DEDUP_SQL = """
+WITH l AS (SELECT doc_id, i - 1 AS i, lines[i] AS line, md5(lines[i]) AS h, length(lines[i]) - length(replace(lines[i], ' ', '')) + 1 >= 40 AS long
+           FROM (SELECT doc_id, string_split(text, chr(10)) AS lines, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS i FROM documents WHERE text IS NOT NULL)),
+m AS (SELECT *, CASE WHEN i = 0 OR long OR lag(long) OVER w OR substr(md5(coalesce(lag(h, 2) OVER w, '') || lag(h) OVER w), 1, 1) < '8' THEN 1 ELSE 0 END AS opens FROM l WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+n AS (SELECT *, sum(opens) OVER (PARTITION BY doc_id ORDER BY i) AS c FROM m),
+k AS (SELECT doc_id, c, min(i) AS s, max(i) + 1 AS e, list(line ORDER BY i) AS lines, bool_or(long) AS long FROM n GROUP BY doc_id, c),
+t AS (SELECT doc_id, list(h ORDER BY i) AS hs FROM l GROUP BY doc_id),
+b AS (SELECT k.*, array_to_string(lines, chr(10)) AS body, list_reverse(list_slice(hs, greatest(s - 7, 1), s)) AS before, list_slice(hs, e + 1, e + 8) AS after
+      FROM k JOIN t USING (doc_id) WHERE (e - s >= 2 OR long) AND trim(array_to_string(lines, chr(10))) <> ''),
+o AS (SELECT *, count(*) OVER (PARTITION BY body) AS copies, row_number() OVER (PARTITION BY body ORDER BY doc_id, s) AS nth,
+             first_value(before) OVER (PARTITION BY body ORDER BY doc_id, s) AS before_0, first_value(after) OVER (PARTITION BY body ORDER BY doc_id, s) AS after_0 FROM b),
+g AS (SELECT doc_id, s, e, before AS p, before_0 AS p0, after AS q, after_0 AS q0 FROM o WHERE copies > 1 AND nth > 1),
+x AS (SELECT doc_id, s - list_min(list_filter(range(0, least(len(p), len(p0)) + 1), lambda t: t = least(len(p), len(p0)) OR p[t + 1] <> p0[t + 1])) AS s,
+                     e + list_min(list_filter(range(0, least(len(q), len(q0)) + 1), lambda t: t = least(len(q), len(q0)) OR q[t + 1] <> q0[t + 1])) AS e FROM g),
+r AS (SELECT DISTINCT doc_id, unnest(range(s, e)) AS i FROM x),
+f AS (SELECT l.doc_id, count(*) AS n_lines, count(r.i) AS n_removed, coalesce(string_agg(CASE WHEN r.i IS NULL THEN line END, chr(10) ORDER BY l.i), '') AS text FROM l LEFT JOIN r ON r.doc_id = l.doc_id AND r.i = l.i GROUP BY l.doc_id)
+SELECT d.doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(f.text) AS text_sha256 FROM documents d LEFT JOIN f USING (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontamination": DECONTAMINATION_SQL}
+    return {"op8_line_dedup": LINE_DEDUP_SQL, "op2_decontamination": DECONTAMINATION_SQL}
