@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cadenza.llm import decontamination, line_dedup, near_dedup, packing, tokens, toxicity
+from cadenza.llm import decontamination, line_dedup, near_dedup, packing, pii, tokens, toxicity
 from cadenza.llm.common import table
 
 
@@ -32,6 +32,18 @@ def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), "contaminated")
 
 
+def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find_personal(table(spark, sf_dir, "documents"))
+    of = {k: F.filter("__spans", _has_rank(r)) for r, k in enumerate(pii.KINDS)}
+    base = F.filter("__spans", lambda x: x["rank"] < len(pii.PATTERNS))
+    counts = [F.size(of[k]).cast("long").alias(f"n_{k}") for k in pii.KINDS]
+    return found.select("doc_id", *counts, F.sha2(pii.listed(base), 256).alias("base_sha256"), pii.listed(F.col("__spans")).alias("spans"))
+
+
+def _has_rank(rank: int):
+    return lambda x: x["rank"] == rank
+
+
 def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "class_id", (F.col("doc_id") == F.col("class_id")).alias("representative"))
 
@@ -53,6 +65,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_toxicity": op1_toxicity,
         "op2_decontamination": op2_decontamination,
+        "op4_personal_data": op4_personal_data,
         "op6_near_duplicates": op6_near_duplicates,
         "op7_token_counts": op7_token_counts,
         "op8_line_dedup": op8_line_dedup,
