@@ -188,15 +188,17 @@ def choose(docs: DataFrame, targets: list[str], text_col: str, keep: int, n_buck
     return np.array(sorted(chosen), np.int64)
 
 
-def sampled_rows(docs: DataFrame, buckets: np.ndarray, targets: list[str], text_col: str, n_buckets: int = BUCKETS) -> tuple[list[np.ndarray], np.ndarray]:
-    """The chosen features and the targets of all rows of docs, at the driver: docs is a bounded sample."""
+def sampled_rows(docs: DataFrame, buckets: np.ndarray, targets: list[str], text_col: str, extra: str | None = None, n_buckets: int = BUCKETS) -> tuple[list[np.ndarray], np.ndarray]:
+    """The chosen features and the targets of all rows of docs, at the driver: docs is a bounded sample. extra: a column with numbers of further features, counted from len(buckets)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = Chosen(buckets, n_buckets)
         for batch in batches:
             rows = [known.row(t.as_py()) for t in batch.column(0).cast(pa.binary())]
-            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.list_(pa.int32())), *batch.columns[1:]], ["features", *targets])
+            if extra:
+                rows = [np.concatenate([r, len(buckets) + np.array(x.as_py(), np.int64)]) for r, x in zip(rows, batch.column(len(targets) + 1))]
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.list_(pa.int32())), *batch.columns[1 : len(targets) + 1]], ["features", *targets])
 
-    found = docs.select(text_col, *(F.col(t).cast("double") for t in targets)).mapInArrow(run, ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
+    found = docs.select(text_col, *(F.col(t).cast("double") for t in targets), *([extra] if extra else [])).mapInArrow(run, ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
     found.sort(key=lambda r: (list(map(int, r.features)), [r[t] for t in targets]))  # in whatever order they came, one model
     return [np.array(r.features, np.int64) for r in found], np.array([[r[t] for t in targets] for r in found]).reshape(len(found), len(targets))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cadenza.llm import decontamination, line_dedup, near_dedup, packing, pii, tokens, toxicity
+from cadenza.llm import decontamination, language, line_dedup, near_dedup, packing, pii, quality, tokens, toxicity
 from cadenza.llm.common import table
 
 
@@ -40,6 +40,18 @@ def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(pii.listed(base), 256).alias("base_sha256"), pii.listed(F.col("__spans")).alias("spans"))
 
 
+def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").withColumn("held_out", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3 == 1, F.lit(False)))
+    model = language.train(docs.where(~F.col("held_out")))
+    found = language.identify(docs, model, with_spans=False)
+    return found.select("doc_id", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3 == 1, F.lit(False)).alias("held_out"), "lang_pred", "score")
+
+
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality.score(docs, quality.train(docs))
+
+
 def _has_rank(rank: int):
     return lambda x: x["rank"] == rank
 
@@ -66,10 +78,12 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_toxicity": op1_toxicity,
         "op2_decontamination": op2_decontamination,
         "op4_personal_data": op4_personal_data,
+        "op5_language": op5_language,
         "op6_near_duplicates": op6_near_duplicates,
         "op7_token_counts": op7_token_counts,
         "op8_line_dedup": op8_line_dedup,
         "op9_packing": op9_packing,
+        "op10_quality": op10_quality,
     }
 
 
