@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cadenza.llm import decontamination, language, line_dedup, near_dedup, packing, pii, quality, tokens, toxicity
+from cadenza.llm import decontamination, language, line_dedup, near_dedup, nearest, packing, pii, quality, tokens, toxicity
 from cadenza.llm.common import table
 
 
@@ -32,6 +32,10 @@ def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), "contaminated")
 
 
+def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest.nearest(table(spark, sf_dir, "embeddings"))
+
+
 def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = pii.find_personal(table(spark, sf_dir, "documents"))
     of = {k: F.filter("__spans", _has_rank(r)) for r, k in enumerate(pii.KINDS)}
@@ -77,6 +81,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_toxicity": op1_toxicity,
         "op2_decontamination": op2_decontamination,
+        "op3_nearest": op3_nearest,
         "op4_personal_data": op4_personal_data,
         "op5_language": op5_language,
         "op6_near_duplicates": op6_near_duplicates,
