@@ -8,10 +8,11 @@ the signature, and the earliest of a coordinate is its value. Two signatures agr
 coordinate with a probability equal to the weighted Jaccard similarity.
 
 Exact copies are one node. In each bucket of a band all nodes are first compared with the
-bucket's leader; components of the links found are then the units, and in buckets that hold
-several components all pairs of nodes from different components are compared. So each pair
-that shares a bucket is compared or is connected already, and a bucket of n copies makes n
-pairs, not n^2. Comparison is exact, over whole texts.
+bucket's leader. Buckets that then hold several components are looked through once more, in
+blocks of bounded size, where nodes of different components are compared and only links that
+join components leave the task. So each pair that shares a bucket is compared or is connected
+already, a bucket of n copies makes n pairs, not n^2, and no list of all pairs of a bucket is ever
+made. Comparison is exact, over whole texts.
 """
 
 from __future__ import annotations
@@ -34,6 +35,9 @@ BANDS, BAND_ROWS = 20, 5
 #: Nodes in buckets of several; up to here their keys are broadcast (16 bytes each), beyond they are joined by a shuffle.
 BROADCAST_KEYS = 300_000
 
+#: Nodes in a block of a bucket that is looked through once more.
+BLOCK = 512
+
 _U = np.uint64
 _SALTS = mix(np.arange(1, 1001, dtype=np.uint64) * _U(0xD1342543DE82EF95))
 
@@ -52,7 +56,7 @@ def signatures(units: list[np.ndarray], k: int) -> np.ndarray:
         darts, ranks, slots = [], [], []
         nth = 0
         while len(keys):
-            dart = mix(keys + _SALTS[nth % 1000] * _U(2 * (nth // 1000) + 1))
+            dart = mix(keys + _SALTS[nth % 1000 : nth % 1000 + 1] * _U(2 * (nth // 1000) + 1))
             u = (mix(dart ^ _SALTS[7]) >> _U(11)).astype(np.float64) * 2.0**-53
             rank = rank - np.log1p(-u)  # the next arrival on this unit's strip
             near = rank <= far
@@ -123,12 +127,57 @@ def _compare(threshold: float, shingle: int):
     return run
 
 
+def _join_components(threshold: float, shingle: int):
+    """Rows (bucket, low, high, block, node, root, text), those of (bucket, low, high) together: links between the blocks low and high, or within one, that join components."""
+
+    def links(group: list[tuple]) -> list[tuple[bytes, bytes]]:
+        low, high = group[0][1:3]
+        items = [(block, node, root, shingle_units(word_list(text.encode()), shingle)) for _, _, _, block, node, root, text in group]
+        if len({root for _, _, root, _ in items}) < 2:
+            return []
+        up: dict[bytes, bytes] = {}
+
+        def top(x: bytes) -> bytes:
+            while (y := up.get(x, x)) != x:
+                x = y
+            return x
+
+        found = []
+        items.sort(key=lambda x: (len(x[3]), x[1]))
+        sizes = np.array([len(x[3]) for x in items])
+        reach = np.searchsorted(sizes, sizes / threshold * (1 + 1e-12), "right")
+        for i, (block, node, root, units) in enumerate(items):
+            for other_block, other, other_root, other_units in items[i + 1 : reach[i]]:
+                if (low == high or block != other_block) and (a := top(root)) != (b := top(other_root)) and weighted_jaccard(units, other_units) >= threshold:
+                    up[a] = b
+                    found.append((node, other))
+        return found
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group: list[tuple] = []
+        for batch in batches:
+            found = []
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if group and row[:3] != group[0][:3]:
+                    found += links(group)
+                    group = []
+                group.append(row)
+            yield out(found)
+        if group:
+            yield out(links(group))
+
+    def out(found: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.binary()), pa.array([y for _, y in found], pa.binary())], ["a", "b"])
+
+    return run
+
+
 def _small(df: DataFrame, bound: int) -> DataFrame:
     """df, to be broadcast if it has no more rows than bound; df is kept already."""
     return F.broadcast(df) if df.limit(bound + 1).count() <= bound else df
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, band_rows: int = BAND_ROWS, shingle: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text", broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, band_rows: int = BAND_ROWS, shingle: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text", broadcast_keys: int = BROADCAST_KEYS, block: int = BLOCK) -> DataFrame:
     """One row for each row of docs: id, content (md5 of the text, binary), class_id, root.
 
     class_id is the smallest id of all rows whose texts are connected by a weighted Jaccard
@@ -163,20 +212,14 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     links = verified(with_leader)
     found = cut(components(links))
 
-    # buckets that still hold several components: all pairs across them
-    placed = members.join(found, "node", "left").select("bucket", "node", "units", F.coalesce("root", "node").alias("root"))
-    mixed = placed.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("bucket")
-    placed = cut(placed.join(mixed, "bucket", "left_semi"))
-    parts = placed.select("bucket", "root").distinct()
-    across = parts.withColumnRenamed("root", "root_a").join(parts.withColumnRenamed("root", "root_b"), "bucket").where("root_a < root_b")
-    pairs = (
-        across.join(placed.select("bucket", F.col("root").alias("root_a"), F.col("node").alias("x"), F.col("units").alias("units_a")), ["bucket", "root_a"])
-        .join(placed.select("bucket", F.col("root").alias("root_b"), F.col("node").alias("y"), F.col("units").alias("units_b")), ["bucket", "root_b"])
-        .where(size_fits)
-        .select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct()
-        .join(with_leader, ["a", "b"], "left_anti")
-    )
-    more = verified(pairs)
+    # buckets that still hold several components
+    placed = members.join(found, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
+    mixed = placed.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low <> high").select("bucket", F.ceil(F.col("n") / block).alias("blocks"))
+    placed = placed.join(mixed, "bucket").withColumn("block", F.pmod(F.xxhash64("node"), "blocks")).withColumn("with", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    keys = ["bucket", "low", "high"]
+    blocks = placed.select("bucket", F.least("block", "with").alias("low"), F.greatest("block", "with").alias("high"), "block", "node", "root")
+    more = blocks.join(bodies, "node").select(*keys, "block", "node", "root", "text").repartition(*keys).sortWithinPartitions(*keys)
+    more = cut(more.mapInArrow(_join_components(threshold, shingle), "a binary, b binary"))
     if not more.isEmpty():
         found = cut(components(links.union(more)))
 

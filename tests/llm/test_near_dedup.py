@@ -83,9 +83,10 @@ def test_chains_and_mixed_buckets(spark):
         step = step[9:] + [f"n{i}x{j}" for j in range(9)]
     rng.shuffle(docs)
     df = spark.createDataFrame(docs, "doc_id long, text string")
-    got = near_dedup.near_duplicates(df, bands=30, band_rows=2).collect()
     want = dict(zip([d for d, _ in docs], brute(docs)))
-    assert {r.doc_id: r.class_id for r in got} == want
+    for block in (512, 2):
+        got = near_dedup.near_duplicates(df, bands=30, band_rows=2, block=block).collect()
+        assert {r.doc_id: r.class_id for r in got} == want
 
 
 def test_query_equals_brute_force_on_small_table(spark, sf_small):
