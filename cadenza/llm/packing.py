@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from cadenza.llm.tokens import Speller, encode_all
+from cadenza.llm.tokens import Speller, batches_of
 
 WINDOW = 4096
 #: Open windows that a task holds at most.
@@ -124,8 +124,8 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int
 
         for batch in batches:
             kind = batch.schema.field(0).type
-            for doc, text in zip(batch.column(0), batch.column(1)):
-                packer.add(doc.as_py(), b"".join(encode_all([text.as_py()], speller)[0]) + end)
+            for doc, (_, ids) in zip(batch.column(0), batches_of(batch.column(1), speller)):
+                packer.add(doc.as_py(), b"".join(ids) + end)
             if rows := packer.packed():
                 yield out(rows)
         packer.flush()

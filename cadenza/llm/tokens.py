@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -23,10 +24,11 @@ from pyspark.sql import DataFrame
 #: Characters of a chunk, of the overlap at first, and pieces remembered by a worker (two generations of them).
 CHUNK_CHARS = 65_536
 OVERLAP_CHARS = 256
-REMEMBERED = 300_000
+REMEMBERED = 500_000
+#: Texts are encoded together up to so many characters.
+TOGETHER_CHARS = 1 << 20
 
 _BLANKS = re.compile(r"[ \n\t]")
-_TO_BLANK = str.maketrans("\n\t", "  ")
 #: Letters only, in a form that no step of normalisation changes, then perhaps marks that form one token run.
 _PLAIN = re.compile(r"([a-z\xdf-\xf6\xf8-\xff]+)([.,!|;:?]*)")
 
@@ -78,7 +80,7 @@ class Speller:
         if len(self.new) + len(missing) > self.remembered:
             self.old, self.new = self.new, {"": b""}
             missing = [p for p in wanted if p not in self.new]
-        odd, parts, words = [], [], set()
+        odd, parts = [], []
         for p in missing:
             if (known := self.old.get(p)) is not None:
                 self.new[p] = known
@@ -86,9 +88,14 @@ class Speller:
                 parts.append((p, *m.groups()))
             else:
                 odd.append(p)
-        known = lambda w: self.new.get(w) or self.old.get(w)
-        words = [w for w in {w for _, w, _ in parts} if known(w) is None]
-        marks = [m for m in {m for _, _, m in parts if m} if known(m) is None]
+        words, marks = [], []
+        for p in {x for _, word, mark in parts for x in (word, mark)}:
+            if p in self.new:
+                continue
+            if (known := self.old.get(p)) is not None:
+                self.new[p] = known
+            else:
+                (words if p[0].isalpha() else marks).append(p)
         for i in range(0, len(words), 5000):
             self.new.update(zip(words[i : i + 5000], self._encode_words(words[i : i + 5000])))
         for some in (odd, marks):
@@ -96,7 +103,7 @@ class Speller:
                 self.new.update(zip(some[i : i + 5000], self._encode(some[i : i + 5000])))
         for p, w, m in parts:
             if m:
-                self.new[p] = known(w) + known(m)
+                self.new[p] = self.new[w] + self.new[m]
         return self.new
 
 
@@ -114,7 +121,7 @@ def chunk_ends(text: str, chunk: int) -> list[int]:
 
 
 def chunk_pieces(text: str, start: int, end: int) -> list[str]:
-    return text[start:end].translate(_TO_BLANK).split(" ")
+    return text[start:end].replace("\n", " ").replace("\t", " ").split(" ")
 
 
 def boundaries(text: str, start: int, end: int, low: int, high: int) -> set[int]:
@@ -153,17 +160,38 @@ def encode(text: str | None, speller: Speller) -> bytes:
 def encode_all(texts: list[str | None], speller: Speller, chunk: int = CHUNK_CHARS, overlap: int = OVERLAP_CHARS) -> list[list[bytes]]:
     """For each text its pieces' ids, in order."""
     out: list[list[bytes]] = []
+    held: list[tuple[list[bytes], list[str]]] = []
+    size = 0
+
+    def spell() -> None:
+        known = speller.learn(chain.from_iterable(pieces for _, pieces in held))
+        for ids, pieces in held:
+            ids += map(known.__getitem__, pieces)
+        held.clear()
+
     for text in texts:
         text = prepared(text or "")
-        ids: list[bytes] = []
+        out.append([])
         for start, end in splices(text, chunk, overlap):
-            pieces = chunk_pieces(text, start, end)
-            known = speller.learn(pieces)
-            ids += map(known.__getitem__, pieces)
-        out.append(ids)
+            held.append((out[-1], chunk_pieces(text, start, end)))
+            if (size := size + end - start) > TOGETHER_CHARS:
+                spell()
+                size = 0
+    spell()
     return out
 
 
+def batches_of(column: pa.Array, speller: Speller, chunk: int = CHUNK_CHARS, overlap: int = OVERLAP_CHARS) -> Iterator[tuple[str, list[bytes]]]:
+    """Each text of a column (null: empty) with its pieces' ids; some texts at a time."""
+    some: list[str] = []
+    for value in column:
+        some.append(value.as_py() or "")
+        if len(some) == 64 or len(some[-1]) > TOGETHER_CHARS:
+            yield from zip(some, encode_all(some, speller, chunk, overlap))
+            some = []
+    yield from zip(some, encode_all(some, speller, chunk, overlap))
+
+
 def count_tokens(docs: DataFrame, tokenizer_path: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text", chunk: int = CHUNK_CHARS, overlap: int = OVERLAP_CHARS) -> DataFrame:
     """One row for each row of docs: id, n_bytes of UTF-8, n_tokens, over_limit, n_chunks that were spliced.
 
@@ -175,10 +203,9 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, limit: int = 2048, id_col
         speller = Speller.of(tokenizer_path)
         for batch in batches:
             n_bytes, n_tokens, n_chunks = [], [], []
-            for value in batch.column(1):
-                text = value.as_py() or ""
+            for text, ids in batches_of(batch.column(1), speller, chunk, overlap):
                 n_bytes.append(len(text.encode("utf-8")))
-                n_tokens.append(sum(map(len, encode_all([text], speller, chunk, overlap)[0])) // 4)
+                n_tokens.append(sum(map(len, ids)) // 4)
                 n_chunks.append(len(splices(text, chunk, overlap)) if len(text) > chunk else 1)
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(n_bytes, pa.int64()), pa.array(n_tokens, pa.int64()), pa.array([n > limit for n in n_tokens], pa.bool_()), pa.array(n_chunks, pa.int64())],
