@@ -20,8 +20,8 @@ from cadenza.llm.common import cut
 from cadenza.llm.linear import Chosen, Logistic, choose, fit, sampled_rows
 from cadenza.llm.words import word_list
 
-#: Labelled rows that the models are fitted on at most, half of them with the last category; features chosen for each category.
-TRAINING_ROWS = 8000
+#: Labelled rows that features are chosen and models fitted on at most, half of them with the last category; features chosen for each category.
+TRAINING_ROWS = 12_000
 FEATURES = 2048
 FOLDS = 4
 
@@ -61,19 +61,19 @@ def fit_models(rows: list[np.ndarray], labels: np.ndarray, weight: np.ndarray, n
 def train(docs: DataFrame, labels: DataFrame, categories: dict[str, str], id_col: str = "doc_id", text_col: str = "text", training_rows: int = TRAINING_ROWS, features: int = FEATURES) -> Chain:
     """A chain for categories {name: SQL expression over labels, true or false}, in this order.
 
-    Features are chosen by counts over all labelled rows; the models are fitted on at most
-    training_rows of them, picked by a hash of the id, half with and half without the last category
-    as far as there are, weighted back to their shares. Labels that are null or whose row has no
+    Features are chosen and models fitted on at most training_rows labelled rows, picked by a hash
+    of the id, half with and half without the last category as far as there are, and weighted back
+    to their shares. So no text is shuffled but those of the sample. Labels that are null or whose row has no
     text are left out. With no labels at all each probability is 0.
     """
     names, last = list(categories), list(categories)[-1]
     judged = labels.select(F.col(id_col).alias("__id"), *(F.expr(e).cast("double").alias(n) for n, e in categories.items())).dropna().dropDuplicates(["__id"])
     texts = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).where(F.col("__text").isNotNull())
-    buckets = choose(texts.join(judged, "__id"), names, "__text", features)
     totals = {r[last]: r["count"] for r in judged.groupBy(last).count().collect()}
     picked = [judged.where(F.col(last) == v).orderBy(F.xxhash64("__id"), "__id").limit(training_rows // 2) for v in (0.0, 1.0)]
-    sample = cut(picked[0].union(picked[1]))
-    rows, values = sampled_rows(texts.join(F.broadcast(sample), "__id").where(F.col("__text").isNotNull()), buckets, names, "__text")
+    sample = cut(texts.join(F.broadcast(cut(picked[0].union(picked[1]))), "__id"))
+    buckets = choose(sample, names, "__text", features)
+    rows, values = sampled_rows(sample, buckets, names, "__text")
     y = values[:, -1]
     share = {v: totals.get(v, 0) / max(1, (y == v).sum()) for v in (0.0, 1.0)}
     weight = np.where(y == 1, share[1.0], share[0.0])
