@@ -26,7 +26,7 @@ def rejected(r: SeriesRelation) -> DataFrame:
 
 
 def restore(normal: SeriesRelation) -> SeriesRelation:
-    values = F.transform("values", lambda x: x * F.col("sd") + F.col("mean"))
+    values = A.let(F.struct("mean", "sd", "values"), lambda t: F.transform(t["values"], lambda x: x * t["sd"] + t["mean"]))
     return SeriesRelation(normal.df.select("series_id", "n", values.alias("values"), *normal.attrs), normal.n, normal.attrs)
 
 
