@@ -49,9 +49,9 @@ def queries() -> dict[str, Query]:
         "range_rect_unsafe": W.range_query(P, 3, 8.0, mavg(20), True, space="rect"),
         "range_reverse": W.range_query(E, 3, 6.0, T.reverse),
         "range_trend": W.range_query(E, 3, 6.0, lambda n: T.trend(n, 8)),
-        "range_rect_scale": W.range_query("supplier_level", 3, 790.0, lambda n: T.scale(n, 0.9), space="rect", normal=False, k=3),
-        "range_rect_shift": W.range_query("supplier_level", 3, 820.0, lambda n: T.shift(n, 3.0), space="rect", normal=False, k=3),
-        "range_rect_reverse": W.range_query("supplier_level", 3, 2110.0, T.reverse, space="rect", normal=False, k=3),
+        "range_rect_scale": W.range_query("supplier_level", 3, 874.0, lambda n: T.scale(n, 0.9), space="rect", normal=False, k=3),
+        "range_rect_shift": W.range_query("supplier_level", 3, 930.0, lambda n: T.shift(n, 3.0), space="rect", normal=False, k=3),
+        "range_rect_reverse": W.range_query("supplier_level", 3, 2625.0, T.reverse, space="rect", normal=False, k=3),
         "range_translation_folded": W.range_query(E, 3, 6.0, lambda n: T.shift(n, 0.1) @ T.moving_average(n, 8)),
         "scan_naive": W.scan(P, 3, 8.0, range_search.scan_naive, 20),
         "scan_abandon": W.scan(P, 3, 8.0, range_search.scan_abandon, 20),

@@ -167,9 +167,9 @@ def catalogue() -> dict[str, str]:
     out["range_mavg_twosided"] = out["scan_naive"] = out["scan_abandon"] = out["scan_time"] = out["range_auto"] = out["range_rect_unsafe"] = ranged(P, 3, 8.0, m20, True)
     out["range_reverse"] = ranged(E, 3, 6.0, data="list_transform(v, lambda x: -x)")
     out["range_trend"] = ranged(E, 3, 6.0, trend_weights(8))
-    out["range_rect_scale"] = ranged("supplier_level", 3, 790, use_normal=False, data="list_transform(v, lambda x: x * 0.9)")
-    out["range_rect_shift"] = ranged("supplier_level", 3, 820, use_normal=False, data="list_transform(v, lambda x: x + 3.0)")
-    out["range_rect_reverse"] = ranged("supplier_level", 3, 2110, use_normal=False, data="list_transform(v, lambda x: -x)")
+    out["range_rect_scale"] = ranged("supplier_level", 3, 874, use_normal=False, data="list_transform(v, lambda x: x * 0.9)")
+    out["range_rect_shift"] = ranged("supplier_level", 3, 930, use_normal=False, data="list_transform(v, lambda x: x + 3.0)")
+    out["range_rect_reverse"] = ranged("supplier_level", 3, 2625, use_normal=False, data="list_transform(v, lambda x: -x)")
     out["range_shape"] = ranged(P, 0, 9.0, m20, q=f"SELECT {normal('w')} AS q FROM (SELECT [{', '.join(f'{x}::DOUBLE' for x in SHAPE)}] AS w)")
     out["range_stretch"] = f"WITH {R['event_walk']}, h AS (SELECT series_id, list_transform(range(0, 16), lambda i: v[2 * i + 1]) AS v FROM r), n AS (SELECT series_id, {normal()} AS v FROM h WHERE list_stddev_pop(v) >= 1e-9), q AS (SELECT {normal()} AS q FROM r WHERE series_id = 4), d AS (SELECT series_id, list_distance(list_transform(range(0, 32), lambda i: n.v[i // 2 + 1]), q) AS dist FROM n, q) SELECT series_id, {r4('dist')} AS dist FROM d WHERE dist <= 5.0"
     sales = f"{R['segment_sales']}, z AS (SELECT *, list_avg(v) AS mean, list_stddev_pop(v) AS sd FROM r), y AS (SELECT * REPLACE ({normal()} AS v) FROM z WHERE sd >= 1e-9)"
