@@ -110,19 +110,14 @@ def build(r: SeriesRelation, k: int = 2, space: str = "polar", normal: bool = Tr
 
     Features hold mean and sd too. One pass makes spectra; features alone are dealt out to leaves.
     """
-    if space == "real":
-        freqs, base = tuple(range(dims or 3)), r
-    else:
-        freqs, base = tuple(range(1, k + 1) if normal else range(k)), r
-    carry = ["mean", "sd", *r.attrs]
-    if normal:
-        base = spectrum.normalize(r)
-    else:
+    freqs = tuple(range(dims or 3)) if space == "real" else tuple(range(1, k + 1) if normal else range(k))
+    base, carry = r, ["mean", "sd", *r.attrs]
+    if not normal:
         form = A.normal_form(F.col("values"))
         base = SeriesRelation(r.df.withColumns({"mean": form["mean"], "sd": form["sd"]}), r.n, r.attrs)
     if space == "real":
         carry = [*carry, "values"]
-    spectra = keep(spectrum.dft(base, *carry))
+    spectra = keep(spectrum.normal_dft(base) if normal else spectrum.dft(base, *carry))
     columns: dict[str, Column] = {}
     for f in freqs:
         if space == "real":

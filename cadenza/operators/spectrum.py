@@ -51,6 +51,23 @@ def dft(r: SeriesRelation, *carry: str) -> DataFrame:
     return r.df.select("series_id", "values", *carry).mapInArrow(run, schema)
 
 
+def normal_dft(r: SeriesRelation) -> DataFrame:
+    """Spectra of normal forms: series_id, re, im, mean, sd and the attributes, without constant series. Each series is read once and normalised in the batch it comes in."""
+    n, attrs, kinds = r.n, r.attrs, dict(r.df.dtypes)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = _matrix(batch.column(1), n)
+            mean, sd = x.mean(axis=1), x.std(axis=1)
+            sound = sd >= TINY
+            batch, x, mean, sd = batch.filter(pa.array(sound)), x[sound], mean[sound], sd[sound]
+            c = np.fft.rfft((x - mean[:, None]) / sd[:, None], axis=1, norm="ortho")
+            yield pa.RecordBatch.from_arrays([batch.column(0), _rows(c.real), _rows(c.imag), pa.array(mean), pa.array(sd), *batch.columns[2:]], ["series_id", "re", "im", "mean", "sd", *attrs])
+
+    schema = ", ".join(["series_id bigint, re array<double>, im array<double>, mean double, sd double", *(f"`{c}` {kinds[c]}" for c in r.attrs)])
+    return r.df.select("series_id", "values", *r.attrs).mapInArrow(run, schema)
+
+
 def idft(spectra: DataFrame, n: int) -> DataFrame:
     """series_id and values from series_id, re, im."""
 
