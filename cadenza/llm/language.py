@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 #: Hashed n-grams, the most languages there may be, and words a worker remembers.
 BUCKETS = 1 << 15
 MOST_LANGUAGES = 500
-REMEMBERED = 400_000
+REMEMBERED = 200_000
 SWITCH_PENALTY = 12.0
 #: A language uses a script if so large a part of its words does.
 SCRIPT_SHARE = 0.005
@@ -33,6 +33,7 @@ NAMES = sorted({n for _, n in SCRIPTS})
 _STARTS = np.array([s for s, _ in SCRIPTS])
 _NUMBER = np.array([NAMES.index(n) for _, n in SCRIPTS])
 
+_crc32 = zlib.crc32
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -41,11 +42,11 @@ def script_of(letter: str) -> int:
 
 
 def grams(word: str, buckets: int) -> list[int]:
-    """Buckets of the word's n-grams of 2 to 4 letters, ends included, and of the whole."""
-    marked = f"^{word}$"
+    """Buckets of the word's n-grams of 3 and 4 bytes of UTF-8, ends included, and of the whole."""
+    marked = b"^%b$" % word.encode("utf-8", "replace")
     n = len(marked)
-    out = [zlib.crc32(marked[i : i + k].encode("utf-8", "replace")) % buckets for k in (2, 3, 4) for i in range(n - k + 1)]
-    return out if n <= 4 else [*out, zlib.crc32(marked.encode("utf-8", "replace")) % buckets]
+    out = [_crc32(marked[i : i + k]) % buckets for k in (3, 4) for i in range(n - k + 1)]
+    return out if n <= 4 else [*out, _crc32(marked) % buckets]
 
 
 def first_letter(word: str) -> str:
@@ -83,7 +84,7 @@ class Model:
             flat = np.fromiter((b for p in parts for b in p), np.int64, sizes.sum())
             found = np.add.reduceat(self.weights[:, flat], np.concatenate([[0], np.cumsum(sizes)[:-1]]), axis=1).T
             # n-grams overlap, so their sum says less than as many independent ones
-            found = found / 3.0
+            found = found / 2.0
             used = self.scripts[:, [script_of(first_letter(w)) for w in lettered]].T
             found = np.where(used | ~used.any(axis=1, keepdims=True), found, -1e4)
             self.known.update(zip(lettered, range(len(self.scores), len(self.scores) + len(lettered))))
