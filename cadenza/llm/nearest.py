@@ -54,7 +54,7 @@ class Block:
         rest = np.sqrt(np.maximum(self.length**2 - squares, 0))
         self.directions = np.random.default_rng(seed).normal(size=(vectors.shape[1] + 1, projections))
         projected = (np.column_stack([self.vectors, rest]) @ self.directions).T
-        self.order = np.argsort(projected, axis=1, kind="stable").astype(np.int32)
+        self.order = np.argsort(projected, axis=1, kind="stable")
         self.sorted = np.take_along_axis(projected, self.order, axis=1)
         self.needed = collisions_needed(projections, half_width, sure)
         self.probe = np.random.default_rng(seed + 1).choice(len(ids), min(len(ids), 1024), replace=False)
@@ -91,13 +91,16 @@ class Block:
             if len(here):
                 unseen[here] = False
                 found.append(here)
-                # summed row by row, so that equal vectors have equal scores
-                scores.append((self.vectors[here] * query).sum(axis=1))
+                scores.append(self.vectors[here] @ query)
                 n_found += len(here)
             if n_found >= k or n_found == left:
                 score = np.concatenate(scores)
                 if n_found == left or distance(np.partition(score, -k)[-k]) <= radius:
                     at = np.concatenate(found)
+                    if n_found > k:
+                        at = at[score >= np.partition(score, -k)[-k] - 1e-9 * self.length**2 - 1e-9 * abs(score).max()]
+                    # summed anew row by row, so that equal vectors have equal scores
+                    score = (self.vectors[at] * query).sum(axis=1)
                     best = np.lexsort((self.ids[at], -score))[:k]
                     return self.ids[at[best]], score[best]
             radius *= STEP
