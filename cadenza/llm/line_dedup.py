@@ -1,11 +1,9 @@
-"""Removal of passages that repeat anywhere in the corpus, by content-defined chunks of lines.
+"""Removal of passages that repeat anywhere in the corpus.
 
-Lines have hashes; a hash rolled over two successive line hashes decides whether the text is cut
-after the second one, so cuts depend on nearby lines only and are the same wherever a passage
-stands. A line of many words is a chunk of its own. Chunks of several lines, or of many words, that
-occur more than once are compared byte by byte; all but the first occurrence are removed. Up to
-eight lines before and after a removed chunk are removed too as far as they equal (by md5) those
-beside the first occurrence: there the passage went on to its own end.
+A passage is two or more lines that aren't blank, or one line of many words. Each two successive lines that
+aren't blank, with the blank ones between them, and each line of many words are units. Units that occur more
+than once are compared byte by byte; all but the first occurrence are removed. Each unit of a repeated passage
+repeats itself, so the passage goes as a whole, whatever its length and whatever stands around it.
 
 DataFrame functions only.
 """
@@ -17,11 +15,9 @@ from pyspark.sql import functions as F
 
 from cadenza.llm.common import cut
 
-#: A line of so many words is a chunk of its own; a chunk of one line needs as many to be removed.
+#: A line of so many words is a unit of its own.
 LONG_LINE_WORDS = 40
-#: Lines on each side of a removed chunk that may go with it.
-BESIDE = 8
-#: Repeated chunks, or rows with removed lines, up to which they are broadcast (some 100 bytes each).
+#: Repeated units, or rows with removed lines, up to which they are broadcast (some 100 bytes each).
 BROADCAST_ROWS = 300_000
 
 
@@ -30,58 +26,52 @@ def _words(line: Column) -> Column:
     return F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1
 
 
-def chunks(docs: DataFrame, id_col: str, text_col: str, long_line: int) -> DataFrame:
-    """A row for each chunk that may be removed: id, key (md5 of the text), s and e (first line, line after the last; from 0), chunk (hash), body, before and after (md5 of the lines beside it, nearest first)."""
+def units(docs: DataFrame, id_col: str, text_col: str, long_line: int, with_body: bool = True) -> DataFrame:
+    """A row for each unit: id, key (md5 of the text), s and e (first line, line after the last; from 0), unit (hash), body if asked for."""
     rows = docs.where(F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.unhex(F.md5(text_col)).alias("key"), F.split(text_col, "\n", -1).alias("lines"))
-    rows = rows.withColumn("hashes", F.transform("lines", F.md5)).withColumn("long", F.transform("lines", lambda x: _words(x) >= long_line))
+    rows = rows.withColumn("full", F.filter(F.transform("lines", lambda x, i: F.when(x.rlike(r"\S"), i)), lambda i: i.isNotNull()))
+    part = lambda s, e: F.slice("lines", s + 1, e - s)
 
-    def starts_chunk(i: Column) -> Column:
-        rolled = F.md5(F.concat(F.coalesce(F.get("hashes", i - 2), F.lit("")), F.get("hashes", i - 1)))
-        return (i == 0) | F.get("long", i) | F.get("long", i - 1) | (F.substring(rolled, 1, 1) < "8")
+    def unit(s: Column, e: Column) -> Column:
+        body = [F.array_join(part(s, e), "\n").alias("body")] if with_body else []
+        return F.struct(s.alias("s"), e.alias("e"), F.xxhash64(part(s, e)).alias("unit"), *body)
 
-    rows = rows.withColumn("starts", F.filter(F.sequence(F.lit(0), F.size("lines") - 1), starts_chunk))
-    end = lambda c: F.coalesce(F.get("starts", c + 1), F.size("lines"))
-    spans = F.transform("starts", lambda s, c: F.struct(c.alias("c"), s.alias("s"), end(c).alias("e"), (F.get("long", s)).alias("long")))
-    spans = F.filter(spans, lambda x: (x["e"] - x["s"] >= 2) | x["long"])
-    rows = rows.withColumn("span", F.explode(spans)).select("id", "key", "lines", "hashes", "starts", "span.*")
-    part = lambda of, s, e: F.slice(of, s + 1, e - s)
-    return rows.select(
-        "id", "key", "s", "e",
-        F.xxhash64(part("hashes", F.col("s"), F.col("e"))).alias("chunk"),
-        F.array_join(part("lines", F.col("s"), F.col("e")), "\n").alias("body"),
-        F.reverse(part("hashes", F.greatest(F.col("s") - BESIDE, F.lit(0)), F.col("s"))).alias("before"),
-        F.slice("hashes", F.col("e") + 1, BESIDE).alias("after"),
-    )
+    pairs = F.transform(F.slice("full", 1, F.greatest(F.size("full") - 1, F.lit(0))), lambda s, k: unit(s, F.get("full", k + 1) + 1))
+    long = F.transform(F.filter("full", lambda i: _words(F.get("lines", i)) >= long_line), lambda s: unit(s, s + 1))
+    return rows.select("id", "key", F.explode(F.concat(pairs, long)).alias("u")).select("id", "key", "u.*")
 
 
-def _alike(a: str, b: str) -> Column:
-    """How many lines from the start of two arrays are the same."""
-    pairs = F.sequence(F.lit(0), F.least(F.size(a), F.size(b)))
-    return F.array_min(F.filter(pairs, lambda i: (i == F.least(F.size(a), F.size(b))) | (F.get(a, i) != F.get(b, i))))
+def _merged(spans: Column) -> Column:
+    """Sorted array<struct<s, e>> with those that meet made one, so texts aren't searched unit by unit."""
+    one = lambda a: F.when(a["e"] > a["s"], F.array(F.struct(a["s"].alias("s"), a["e"].alias("e")))).otherwise(F.array().cast("array<struct<s:int,e:int>>"))
+    start = F.struct(F.array().cast("array<struct<s:int,e:int>>").alias("done"), F.lit(0).alias("s"), F.lit(0).alias("e"))
+
+    def step(a, x):
+        longer = F.struct(a["done"].alias("done"), a["s"].alias("s"), F.greatest(a["e"], x["e"]).alias("e"))
+        return F.when(x["s"] <= a["e"], longer).otherwise(F.struct(F.concat(a["done"], one(a)).alias("done"), x["s"].alias("s"), x["e"].alias("e")))
+
+    return F.aggregate(spans, start, step, lambda a: F.concat(a["done"], one(a)))
 
 
 def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """(id, key, spans array<struct<s, e>>) for each text that loses lines s to e-1; kept already."""
-    every = chunks(docs, id_col, text_col, long_line)
-    seen = cut(every.groupBy("chunk").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("chunk"))
+    every = units(docs, id_col, text_col, long_line, with_body=False)
+    seen = cut(every.groupBy("unit").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("unit"))
     seen = F.broadcast(seen) if seen.limit(broadcast_rows + 1).count() <= broadcast_rows else seen
-    again = cut(every.join(seen, "chunk", "left_semi").where("trim(body) <> ''"))
+    again = cut(units(docs, id_col, text_col, long_line).join(seen, "unit", "left_semi"))
     # bytes are compared here: a body, not its hash, is the group
-    first = again.groupBy("chunk", "body").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "key", "s")).alias("first")).where("n > 1")
-    first = first.withColumnRenamed("body", "first_body")
-    later = again.join(first, (again["chunk"] == first["chunk"]) & (again["body"] == first["first_body"])).drop(first["chunk"]).withColumn("is_first", F.struct("id", "key", "s") == F.col("first"))
-    later = cut(later.select("id", "key", "s", "e", "chunk", "first", "before", "after", "is_first"))
-    origin = later.where("is_first").select(F.col("first").alias("origin"), F.col("chunk").alias("origin_chunk"), F.col("before").alias("before_0"), F.col("after").alias("after_0")).dropDuplicates(["origin", "origin_chunk"])
-    same = (F.col("first") == F.col("origin")) & (F.col("chunk") == F.col("origin_chunk"))
-    grown = later.where("not is_first").join(origin, same)
-    spans = grown.select("id", "key", F.struct((F.col("s") - _alike("before", "before_0")).alias("s"), (F.col("e") + _alike("after", "after_0")).alias("e")).alias("span"))
-    return cut(spans.groupBy("id", "key").agg(F.array_sort(F.collect_set("span")).alias("spans")))
+    first = again.groupBy("unit", "body").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "key", "s", "e")).alias("first")).where("n > 1")
+    first = first.select(F.col("unit").alias("first_unit"), F.col("body").alias("first_body"), "first")
+    # the first itself stays, and what overlaps it in one text
+    of_first = F.col("id").eqNullSafe(F.col("first.id")) & (F.col("key") == F.col("first.key")) & (F.col("s") < F.col("first.e"))
+    later = again.join(first, (F.col("unit") == F.col("first_unit")) & (F.col("body") == F.col("first_body"))).where(~of_first)
+    return cut(later.groupBy("id", "key").agg(_merged(F.array_sort(F.collect_set(F.struct("s", "e")))).alias("spans")))
 
 
 def drop_repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """docs with all their columns, the text without repeated passages, then __n_lines and __n_removed.
 
-    Of a repeated chunk the occurrence with the smallest (id, md5 of the text, line) stays, nulls first.
+    Of a repeated unit the occurrence with the smallest (id, md5 of the text, line) stays, nulls first.
     Rows that agree in id and text are one document and keep the same text. A null text stays null and
     has no lines; an empty one has one line. An empty table gives no rows; other columns pass unchanged.
     """

@@ -39,3 +39,29 @@ def test_edges(spark):
     same = [(1, A, "x"), (1, A, "x")]
     assert texts(spark, same) == {1: A}
     assert texts(spark, []) == {}
+
+
+def test_short_passages_go_in_all_surroundings(spark):
+    # 55 words on 2 to 6 lines of fewer than 40 each, among lines of 30 documents' own
+    for n in range(2, 7):
+        passage = "\n".join(" ".join(f"p{n}w{i}" for i in range(55) if i * n // 55 == k) for k in range(n))
+        data = [(d, f"top {d}\nsecond {d * d}\n{passage}\nafter {d}\nlast {d * 7}", None) for d in range(30)]
+        want = {d: t if d == 0 else t.replace(f"{passage}\n", "") for d, t, _ in data}
+        assert texts(spark, data) == want
+
+
+def test_blank_lines_neither_make_nor_part_a_passage(spark):
+    data = [(i, f"own {i}\n\nContents\n\nunique {i}\n\nfirst of two\n \nsecond of two\n\nend {i}", None) for i in range(3)]
+    got = texts(spark, data)
+    assert got[0] == data[0][1] and got[1] == "own 1\n\nContents\n\nunique 1\n\n\nend 1"
+
+
+def test_what_overlaps_the_first_stays(spark):
+    assert texts(spark, [(1, "x\nx\nx", None), (2, "y\n" * 5 + "end", None)]) == {1: "x\nx\nx", 2: "y\ny\nend"}
+
+
+def test_all_that_sql_removes_goes(spark, sf):
+    names, want = sql_rows(queries.oracle_sql()["op8_line_dedup"], sf)
+    at, n = names.index("doc_id"), names.index("n_removed")
+    got = {r.doc_id: r.n_removed for r in queries.op8_line_dedup(spark, sf).collect()}
+    assert all(got[r[at]] >= r[n] for r in want)
