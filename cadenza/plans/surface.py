@@ -50,7 +50,7 @@ def series_agg(pos: str, value: str):
 
 def asof_fill(spark, sf_dir):
     """Each user's last value at or before each of twelve grid times of their own span, an hour of which is one twelfth."""
-    e = table(spark, sf_dir, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", "value").where("user_id < 20")
+    e = table(spark, sf_dir, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", "value")
     span = e.groupBy("user_id").agg(F.min("ts").alias("first"), F.max("ts").alias("last"))
     step = (F.unix_micros("last") - F.unix_micros("first")) / 12
     grid = span.select("user_id", F.explode(F.sequence(F.lit(0), F.lit(12))).alias("slot"), (F.unix_micros("first")).alias("a"), step.alias("step"))
@@ -121,7 +121,7 @@ def semi_anti(spark, sf_dir):
 
 def interval_join(spark, sf_dir):
     """Events of one user within an hour after another event of theirs: by hour bins, then exactly."""
-    e = table(spark, sf_dir, "events").select("user_id", "event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("at")).where("user_id < 30")
+    e = table(spark, sf_dir, "events").select("user_id", "event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("at"))
     hour = 3_600_000_000
     left = e.select("user_id", F.col("event_id").alias("a"), F.col("at").alias("from"), F.explode(F.array(F.floor(F.col("at") / hour), F.floor(F.col("at") / hour) + 1)).alias("bin"))
     right = e.select("user_id", F.col("event_id").alias("b"), "at", F.floor(F.col("at") / hour).alias("bin"))
