@@ -30,6 +30,20 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cadenza-"))
 
 
+#: Bytes of an Arrow batch that goes to a Python worker, about.
+BATCH_BYTES = 8 << 20
+_BATCH_SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
+
+
+def in_small_batches(df: DataFrame) -> DataFrame:
+    """df, whose session from now on bounds Arrow batches by BATCH_BYTES, so 10,000 long texts don't become one batch. A lower bound that is set stays."""
+    spark = df.sparkSession
+    known = spark.conf.get(_BATCH_SETTING, None)
+    if known is None or not known.isdigit() or int(known) > BATCH_BYTES or int(known) <= 0:
+        spark.conf.set(_BATCH_SETTING, str(BATCH_BYTES))
+    return df
+
+
 def cut(df: DataFrame) -> DataFrame:
     """df, computed once and kept in the shared checkpoint folder, so lost executors don't lose it."""
     ensure_checkpoint_dir(df.sparkSession)

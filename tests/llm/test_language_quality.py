@@ -1,4 +1,5 @@
 import zlib
+from collections import Counter
 
 import numpy as np
 from pyspark.sql import functions as F
@@ -29,6 +30,71 @@ def test_viterbi_equals_brute_force():
             assert len(label) == 0
 
 
+def test_viterbi_in_stretches_equals_one_pass():
+    rng = np.random.default_rng(4)
+    seqs = [rng.normal(size=(n, 4)) * 3 for n in (300, 1, 77, 78, 2)]
+    whole = language.viterbi(seqs, 2.0)
+    for room in (1, 4, 29, 400, 3000):
+        assert all((a == b).all() for a, b in zip(whole, language.viterbi(seqs, 2.0, room=room)))
+
+
+def test_grams_are_of_the_word_alone():
+    words = ["a", "ab", "wörd", "日本", "abcdefgh" * 40, "abc"]
+    places, starts = language.grams(words, 1 << 20)
+    for w, at, end in zip(words, starts, [*starts[1:], len(places)]):
+        own, _ = language.grams([w], 1 << 20)
+        n = len(w.encode()) + 2
+        assert (places[at:end] == own).all() and len(own) == n
+        assert [(own[:, k] < 1 << 20).sum() for k in (0, 1, 2)] == [n - 2, max(0, n - 3), int(n > 4)]
+    assert len({tuple(x) for x in language.grams(["abcx", "bcxa", "cxab"], 1 << 20)[0]}) > 9
+
+
+def test_query_equals_brute_force(spark, sf_small):
+    """Word by word, in dictionaries; labels by the full table of transitions."""
+    rows = table(spark, sf_small, "documents").collect()
+    words = lambda text: language._WORD.findall((text or "").lower())
+    of = lambda w: [b for b in language.grams([w], language.BUCKETS)[0].ravel().tolist() if b < language.BUCKETS]
+    learned = [r for r in rows if zlib.crc32(str(r.doc_id).encode()) % 3 != 1 and r.lang is not None and r.text is not None]
+    langs = sorted({r.lang for r in learned})
+    counts, script = {x: Counter() for x in langs}, {x: Counter() for x in langs}
+    known = {w: (of(w), int(language.scripts_of([language.first_letter(w)])[0])) for r in rows for w in set(words(r.text)) if language.first_letter(w)}
+    for r in learned:
+        for w in filter(known.__contains__, words(r.text)):
+            counts[r.lang].update(known[w][0])
+            script[r.lang][known[w][1]] += 1
+    total = {x: sum(c.values()) + 0.5 * language.BUCKETS for x, c in counts.items()}
+
+    def score(w, x):
+        if w not in known:
+            return 0.0
+        grams, s = known[w]
+        uses = lambda y: script[y][s] >= language.SCRIPT_SHARE * max(sum(script[y].values()), 1)
+        return sum(np.log((counts[x][g] + 0.5) / total[x]) for g in grams) / 2 if uses(x) or not any(map(uses, langs)) else -1e4
+
+    got = {r.doc_id: r for r in queries.op5_language(spark, sf_small).collect()}
+    assert len(got) == len(rows)
+    for r in rows:
+        ws, value, back = words(r.text), [0.0] * len(langs), []
+        for w in ws:
+            come = [max(range(len(langs)), key=lambda y: value[y] - language.SWITCH_PENALTY * (x != y)) for x in range(len(langs))] if back else list(range(len(langs)))
+            value = [value[come[x]] - language.SWITCH_PENALTY * (x != come[x]) + score(w, langs[x]) for x in range(len(langs))]
+            back.append(come)
+        letters, x = Counter(), max(range(len(langs)), key=value.__getitem__)
+        for w, come in zip(reversed(ws), reversed(back)):
+            letters[langs[x]] += len(w) * (w in known)
+            x = come[x]
+        if not sum(letters.values()):
+            assert (got[r.doc_id].lang_pred, got[r.doc_id].score) == ("und", 0.0)
+            continue
+        assert got[r.doc_id].lang_pred == max(langs, key=lambda x: letters[x])
+        assert abs(got[r.doc_id].score - max(letters.values()) / sum(letters.values())) < 1e-9
+
+
+def test_rare_languages_are_not_learned_and_nothing_breaks(spark):
+    docs = spark.createDataFrame([(i, f"text number {i} of many", f"l{i % 5}") for i in range(23)], "doc_id long, text string, lang string")
+    assert language.train(docs, most_languages=3).languages == ["l0", "l1", "l2"]
+
+
 def test_spans_scripts_and_edges(spark):
     en = "the cat sat on the mat and the dog ran over the hill with all of them "
     ru = "мама мыла раму и потом они все пошли гулять в большой старый парк "
