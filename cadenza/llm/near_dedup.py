@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut
+from cadenza.llm.common import cut, in_small_batches
 from cadenza.llm.components import components
 from cadenza.llm.words import SHINGLE_WORDS, mix, shingle_units, weighted_jaccard, word_list
 
@@ -35,8 +35,9 @@ BANDS, BAND_ROWS = 20, 5
 #: Nodes in buckets of several; up to here their keys are broadcast (16 bytes each), beyond they are joined by a shuffle.
 BROADCAST_KEYS = 300_000
 
-#: Nodes in a block of a bucket that is looked through once more.
-BLOCK = 512
+#: Nodes in a block of a bucket that is looked through once more, and their shingles; pairs of a leader that are compared together.
+BLOCK, BLOCK_UNITS = 512, 1_000_000
+PAIRS_TOGETHER = 1000
 
 _U = np.uint64
 _SALTS = mix(np.arange(1, 1001, dtype=np.uint64) * _U(0xD1342543DE82EF95))
@@ -114,15 +115,18 @@ def _sign(bands: int, rows: int, shingle: int):
 
 
 def _compare(threshold: float, shingle: int):
+    """Rows (b, part, a, text), those of (b, part) together and the one without a first, which has b's own text: the pairs (a, b) within the threshold."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple = (None, None)
+        leader = np.empty(0, np.uint64)
         for batch in batches:
             good = []
-            for i, (b, text_a, text_b) in enumerate(zip(batch.column(1), batch.column(2), batch.column(3))):
-                if (key := b.as_py()) != last[0]:
-                    last = (key, shingle_units(word_list(text_b.as_py().encode()), shingle))
-                good.append(weighted_jaccard(shingle_units(word_list(text_a.as_py().encode()), shingle), last[1]) >= threshold)
-            yield batch.select([0, 1]).filter(pa.array(good, pa.bool_()))
+            for a, text in zip(batch.column(2), batch.column(3).cast(pa.binary())):
+                units = shingle_units(word_list(text.as_py()), shingle)
+                if not a.is_valid:
+                    leader = units
+                good.append(a.is_valid and weighted_jaccard(units, leader) >= threshold)
+            yield pa.RecordBatch.from_arrays([batch.column(2), batch.column(0)], ["a", "b"]).filter(pa.array(good, pa.bool_()))
 
     return run
 
@@ -130,9 +134,7 @@ def _compare(threshold: float, shingle: int):
 def _join_components(threshold: float, shingle: int):
     """Rows (bucket, low, high, block, node, root, text), those of (bucket, low, high) together: links between the blocks low and high, or within one, that join components."""
 
-    def links(group: list[tuple]) -> list[tuple[bytes, bytes]]:
-        low, high = group[0][1:3]
-        items = [(block, node, root, shingle_units(word_list(text.encode()), shingle)) for _, _, _, block, node, root, text in group]
+    def links(low: int, high: int, items: list[tuple]) -> list[tuple[bytes, bytes]]:
         if len({root for _, _, root, _ in items}) < 2:
             return []
         up: dict[bytes, bytes] = {}
@@ -154,17 +156,19 @@ def _join_components(threshold: float, shingle: int):
         return found
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        group: list[tuple] = []
+        key, items = None, []
         for batch in batches:
             found = []
-            for row in zip(*(c.to_pylist() for c in batch.columns)):
-                if group and row[:3] != group[0][:3]:
-                    found += links(group)
-                    group = []
-                group.append(row)
+            texts = batch.column(6).cast(pa.binary())
+            for i, (bucket, low, high, block, node, root) in enumerate(zip(*(batch.column(j).to_pylist() for j in range(6)))):
+                if (bucket, low, high) != key:
+                    found += links(*key[1:], items) if key else []
+                    key, items = (bucket, low, high), []
+                # of a text only its keys are held
+                items.append((block, node, root, shingle_units(word_list(texts[i].as_py()), shingle)))
             yield out(found)
-        if group:
-            yield out(links(group))
+        if key:
+            yield out(links(*key[1:], items))
 
     def out(found: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.binary()), pa.array([y for _, y in found], pa.binary())], ["a", "b"])
@@ -177,7 +181,7 @@ def _small(df: DataFrame, bound: int) -> DataFrame:
     return F.broadcast(df) if df.limit(bound + 1).count() <= bound else df
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, band_rows: int = BAND_ROWS, shingle: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text", broadcast_keys: int = BROADCAST_KEYS, block: int = BLOCK) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, band_rows: int = BAND_ROWS, shingle: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text", broadcast_keys: int = BROADCAST_KEYS, block: int = BLOCK, block_units: int = BLOCK_UNITS, pairs_together: int = PAIRS_TOGETHER) -> DataFrame:
     """One row for each row of docs: id, content (md5 of the text, binary), class_id, root.
 
     class_id is the smallest id of all rows whose texts are connected by a weighted Jaccard
@@ -190,7 +194,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     rows = docs.select(F.col(id_col).alias("id"), F.unhex(F.md5(text_col)).alias("node"), F.col(text_col).alias("text"))
     texts = rows.select("node", "text").where(F.col("text").isNotNull())
     # copies are signed where they lie, once for each; one row of each content goes on
-    signed = texts.mapInArrow(_sign(bands, band_rows, shingle), "node binary, units bigint, bands array<bigint>")
+    signed = in_small_batches(texts).mapInArrow(_sign(bands, band_rows, shingle), "node binary, units bigint, bands array<bigint>")
     nodes = cut(signed.groupBy("node").agg(F.any_value("units").alias("units"), F.any_value("bands").alias("bands")))
     buckets = nodes.select("node", "units", F.explode("bands").alias("bucket"))
     leaders = buckets.groupBy("bucket").agg(F.min("node").alias("leader"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "leader")
@@ -202,8 +206,12 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     bodies = cut(some.groupBy("node").agg(F.any_value("text").alias("text")))
 
     def verified(pairs: DataFrame) -> DataFrame:
-        full = pairs.join(bodies.select(F.col("node").alias("a"), F.col("text").alias("text_a")), "a").join(bodies.select(F.col("node").alias("b"), F.col("text").alias("text_b")), "b")
-        return cut(full.select("a", "b", "text_a", "text_b").mapInArrow(_compare(threshold, shingle), "a binary, b binary"))
+        # a leader's text goes once to each part of its pairs, and parts are bounded
+        parts = cut(pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / pairs_together).alias("parts")))
+        placed = pairs.join(parts, "b").select("b", F.pmod(F.xxhash64("a"), "parts").alias("part"), "a").join(bodies.withColumnRenamed("node", "a"), "a").select("b", "part", "a", "text")
+        leaders = parts.select("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part")).join(bodies.withColumnRenamed("node", "b"), "b").select("b", "part", F.lit(None).cast("binary").alias("a"), "text")
+        rows = placed.unionByName(leaders).repartition("b", "part").sortWithinPartitions("b", "part", F.col("a").asc_nulls_first())
+        return cut(in_small_batches(rows).mapInArrow(_compare(threshold, shingle), "a binary, b binary"))
 
     with_leader = cut(
         members.where("node <> leader").select(F.col("node").alias("a"), F.col("leader").alias("b"), F.col("units").alias("units_a")).distinct()
@@ -213,23 +221,22 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     found = cut(components(links))
 
     # buckets that still hold several components
-    placed = members.join(found, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
-    mixed = placed.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low <> high").select("bucket", F.ceil(F.col("n") / block).alias("blocks"))
+    placed = members.join(found, "node", "left").select("bucket", "node", "units", F.coalesce("root", "node").alias("root"))
+    mixed = placed.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.greatest(F.ceil(F.count(F.lit(1)) / block), F.ceil(F.sum("units") / block_units)).alias("blocks")).where("low <> high").select("bucket", "blocks")
     placed = placed.join(mixed, "bucket").withColumn("block", F.pmod(F.xxhash64("node"), "blocks")).withColumn("with", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     keys = ["bucket", "low", "high"]
     blocks = placed.select("bucket", F.least("block", "with").alias("low"), F.greatest("block", "with").alias("high"), "block", "node", "root")
     more = blocks.join(bodies, "node").select(*keys, "block", "node", "root", "text").repartition(*keys).sortWithinPartitions(*keys)
-    more = cut(more.mapInArrow(_join_components(threshold, shingle), "a binary, b binary"))
+    more = cut(in_small_batches(more).mapInArrow(_join_components(threshold, shingle), "a binary, b binary"))
     if not more.isEmpty():
         found = cut(components(links.union(more)))
 
     worded = nodes.select("node").join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
     placed_rows = rows.select("id", "node").join(worded, "node", "left")
-    classes = placed_rows.where("root is not null").groupBy("root").agg(F.min("id").alias("class_id"))
-    # a class of one text and one row needs no join; the rest are joined by root
-    return placed_rows.join(classes, "root", "left").select(
-        F.col("id").alias(id_col), F.col("node").alias("content"), F.when(F.col("root").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), "root"
-    )
+    # a class of one row needs no join; those of several are kept first, so the join can split a large class
+    classes = cut(placed_rows.where("root is not null").groupBy("root").agg(F.min("id").alias("class_id"), F.count(F.lit(1)).alias("n")).where("n > 1"))
+    joined = placed_rows.join(_small(classes, broadcast_keys), "root", "left")
+    return joined.select(F.col("id").alias(id_col), F.col("node").alias("content"), F.when(F.col("n").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), "root")
 
 
 def keep_one(docs: DataFrame, broadcast_keys: int = BROADCAST_KEYS, **options) -> DataFrame:
