@@ -12,7 +12,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut
+from cadenza.llm.common import cut, in_small_batches
 from cadenza.llm.words import word_list
 
 #: Hashed features, of which some are chosen.
@@ -149,43 +149,55 @@ class Chosen(dict):
 
 
 def choose(docs: DataFrame, targets: list[str], text_col: str, keep: int, n_buckets: int = BUCKETS, least: int = 3, significant: float = 4.0) -> np.ndarray:
-    """Buckets that tell most about each target (a column of 0 to 1; null: the row has none), over all rows of docs.
+    """Buckets that tell most about each target (a column of 0 to 1; null: the row has none), over all rows of docs."""
+    return choose_by_fold(docs, targets, text_col, keep, None, 1, n_buckets, least, significant)[0]
+
+
+def choose_by_fold(docs: DataFrame, targets: list[str], text_col: str, keep: int, fold_col: str | None, folds: int, n_buckets: int = BUCKETS, least: int = 3, significant: float = 4.0) -> list[np.ndarray]:
+    """The same over all rows and, for each fold (a column from 0 on), over the rows that are not in it.
 
     Rows are counted where they lie; one row for each bucket is shuffled from each task. Of each target
     the `keep` buckets with the largest z-scores of a difference of shares come to the driver.
     """
+    k = len(targets)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, k = WordFeatures(n_buckets), len(targets)
-        counts = np.zeros((2 * k, n_buckets))
-        total = np.zeros(2 * k)
+        known = WordFeatures(n_buckets)
+        counts = np.zeros((folds, 2 * k, n_buckets))
+        total = np.zeros((folds, 2 * k))
         for batch in batches:
             for i, text in enumerate(batch.column(0).cast(pa.binary())):
                 row = document_features(text.as_py(), known)
+                fold = batch.column(k + 1)[i].as_py()
                 for j in range(k):
                     if (t := batch.column(j + 1)[i].as_py()) is not None:
-                        counts[j, row] += t
-                        counts[k + j, row] += 1 - t
-                        total[j] += t
-                        total[k + j] += 1 - t
-        held = np.flatnonzero(counts.any(axis=0))
+                        counts[fold, j, row] += t
+                        counts[fold, k + j, row] += 1 - t
+                        total[fold, j] += t
+                        total[fold, k + j] += 1 - t
+        held = np.flatnonzero(counts.any(axis=(0, 1)))
         if total.any():
-            arrays = [pa.array(np.append(held, -1)), *(pa.array(np.append(c[held], t)) for c, t in zip(counts, total))]
+            arrays = [pa.array(np.append(held, -1)), *(pa.array(np.append(counts[f, j, held], total[f, j])) for f in range(folds) for j in range(2 * k))]
             yield pa.RecordBatch.from_arrays(arrays, names)
 
-    names = ["bucket", *(f"c{j}" for j in range(2 * len(targets)))]
-    counted = docs.select(text_col, *(F.col(t).cast("double") for t in targets)).mapInArrow(run, ", ".join(["bucket bigint", *(f"{c} double" for c in names[1:])]))
+    names = ["bucket", *(f"c{f}_{j}" for f in range(folds) for j in range(2 * k))]
+    fold = F.col(fold_col).cast("int") if fold_col else F.lit(0)
+    counted = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), fold.alias("__fold"))).mapInArrow(run, ", ".join(["bucket bigint", *(f"{c} double" for c in names[1:])]))
     table = cut(counted.groupBy("bucket").agg(*(F.sum(c).alias(c) for c in names[1:])))
     totals = table.where("bucket = -1").first()
-    chosen: set[int] = set()
-    for j in range(len(targets) if totals else 0):
-        n1, n0 = max(totals[1 + j], 1e-9), max(totals[1 + len(targets) + j], 1e-9)
-        c1, c0 = F.col(f"c{j}"), F.col(f"c{len(targets) + j}")
-        share = (c1 + c0 + 1) / (n1 + n0 + 2)
-        z = F.abs(c1 / n1 - c0 / n0) / F.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
-        best = table.where(F.col("bucket") >= 0).where((c1 + c0 >= least) & (z >= significant)).orderBy(z.desc(), "bucket").limit(keep)
-        chosen.update(r.bucket for r in best.select("bucket").collect())
-    return np.array(sorted(chosen), np.int64)
+    out = []
+    for held_out in [None, *range(folds if fold_col else 0)]:
+        part = [f for f in range(folds) if f != held_out]
+        chosen: set[int] = set()
+        for j in range(k if totals else 0):
+            n1, n0 = (max(sum(totals[f"c{f}_{x}"] for f in part), 1e-9) for x in (j, k + j))
+            c1, c0 = (sum((F.col(f"c{f}_{x}") for f in part), F.lit(0.0)) for x in (j, k + j))
+            share = (c1 + c0 + 1) / (n1 + n0 + 2)
+            z = F.abs(c1 / n1 - c0 / n0) / F.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
+            best = table.where(F.col("bucket") >= 0).where((c1 + c0 >= least) & (z >= significant)).orderBy(z.desc(), "bucket").limit(keep)
+            chosen.update(r.bucket for r in best.select("bucket").collect())
+        out.append(np.array(sorted(chosen), np.int64))
+    return out
 
 
 def sampled_rows(docs: DataFrame, buckets: np.ndarray, targets: list[str], text_col: str, extra: str | None = None, n_buckets: int = BUCKETS) -> tuple[list[np.ndarray], np.ndarray]:
@@ -199,6 +211,6 @@ def sampled_rows(docs: DataFrame, buckets: np.ndarray, targets: list[str], text_
                 rows = [np.concatenate([r, len(buckets) + np.array(x.as_py(), np.int64)]) for r, x in zip(rows, batch.column(len(targets) + 1))]
             yield pa.RecordBatch.from_arrays([pa.array(rows, pa.list_(pa.int32())), *batch.columns[1 : len(targets) + 1]], ["features", *targets])
 
-    found = docs.select(text_col, *(F.col(t).cast("double") for t in targets), *([extra] if extra else [])).mapInArrow(run, ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
+    found = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), *([extra] if extra else []))).mapInArrow(run, ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
     found.sort(key=lambda r: (list(map(int, r.features)), [r[t] for t in targets]))  # in whatever order they came, one model
     return [np.array(r.features, np.int64) for r in found], np.array([[r[t] for t in targets] for r in found]).reshape(len(found), len(targets))
