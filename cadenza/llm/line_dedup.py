@@ -1,9 +1,11 @@
-"""Removal of passages that repeat anywhere in the corpus.
+"""Removal of passages that repeat anywhere in the corpus, by content-defined chunks of lines.
 
-A passage is two or more lines that aren't blank, or one line of many words. Each two successive lines that
-aren't blank, with the blank ones between them, and each line of many words are units. Units that occur more
-than once are compared byte by byte; all but the first occurrence are removed. Each unit of a repeated passage
-repeats itself, so the passage goes as a whole, whatever its length and whatever stands around it.
+A rolling hash runs over the hashes of each two successive lines that aren't blank (with the blank ones
+between them), and over each line of many words. Where the rolling hash is one that the corpus has
+several times a chunk goes on, where it isn't a boundary stands. So boundaries depend on content alone
+and not on positions, and a repeated passage is a chunk whatever its length and whatever stands around it. (Boundaries at some
+fixed values of the hash would miss passages of a few lines, which need not hold two such values.)
+Before anything goes, the lines themselves are compared byte by byte; all but the first occurrence are removed.
 
 DataFrame functions only.
 """
@@ -17,6 +19,8 @@ from cadenza.llm.common import cut
 
 #: A line of so many words is a unit of its own.
 LONG_LINE_WORDS = 40
+#: Occurrences of a unit that are joined with its first one together.
+PART_ROWS = 1000
 #: Repeated units, or rows with removed lines, up to which they are broadcast (some 100 bytes each).
 BROADCAST_ROWS = 300_000
 
@@ -53,18 +57,20 @@ def _merged(spans: Column) -> Column:
     return F.aggregate(spans, start, step, lambda a: F.concat(a["done"], one(a)))
 
 
-def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS, part_rows: int = PART_ROWS) -> DataFrame:
     """(id, key, spans array<struct<s, e>>) for each text that loses lines s to e-1; kept already."""
     every = units(docs, id_col, text_col, long_line, with_body=False)
-    seen = cut(every.groupBy("unit").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("unit"))
+    seen = cut(every.groupBy("unit").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
     seen = F.broadcast(seen) if seen.limit(broadcast_rows + 1).count() <= broadcast_rows else seen
-    again = cut(units(docs, id_col, text_col, long_line).join(seen, "unit", "left_semi"))
+    # a unit that occurs very often is dealt out in parts, and its first occurrence goes to each part
+    parts = F.ceil(F.col("n") / part_rows)
+    again = cut(units(docs, id_col, text_col, long_line).join(seen, "unit").withColumn("part", F.pmod(F.xxhash64("id", "key", "s"), parts)))
     # bytes are compared here: a body, not its hash, is the group
-    first = again.groupBy("unit", "body").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "key", "s", "e")).alias("first")).where("n > 1")
-    first = first.select(F.col("unit").alias("first_unit"), F.col("body").alias("first_body"), "first")
+    first = again.groupBy("unit", "body").agg(F.any_value("n").alias("n"), F.count(F.lit(1)).alias("copies"), F.min(F.struct("id", "key", "s", "e")).alias("first")).where("copies > 1")
+    first = cut(first.select(F.col("unit").alias("first_unit"), F.col("body").alias("first_body"), "first", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)).alias("first_part")))
     # the first itself stays, and what overlaps it in one text
     of_first = F.col("id").eqNullSafe(F.col("first.id")) & (F.col("key") == F.col("first.key")) & (F.col("s") < F.col("first.e"))
-    later = again.join(first, (F.col("unit") == F.col("first_unit")) & (F.col("body") == F.col("first_body"))).where(~of_first)
+    later = again.join(first, (F.col("unit") == F.col("first_unit")) & (F.col("part") == F.col("first_part"))).where((F.col("body") == F.col("first_body")) & ~of_first)
     return cut(later.groupBy("id", "key").agg(_merged(F.array_sort(F.collect_set(F.struct("s", "e")))).alias("spans")))
 
 

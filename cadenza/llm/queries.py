@@ -41,7 +41,7 @@ def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     of = {k: F.filter("__spans", _has_rank(r)) for r, k in enumerate(pii.KINDS)}
     base = F.filter("__spans", lambda x: x["rank"] < len(pii.PATTERNS))
     counts = [F.size(of[k]).cast("long").alias(f"n_{k}") for k in pii.KINDS]
-    return found.select("doc_id", *counts, F.sha2(pii.listed(base), 256).alias("base_sha256"), pii.listed(F.col("__spans")).alias("spans"))
+    return found.select("doc_id", *counts, F.sha2(pii.listed(base), 256).alias("base_sha256"), pii.listed(F.col("__spans")).alias("spans"), (F.size("__spans") > 0).alias("personal"))
 
 
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -110,24 +110,18 @@ FROM w LEFT JOIN hits USING (doc_id) LEFT JOIN its USING (doc_id)
 """
 
 
-#: Lines with the start of a chunk marked, chunks, first occurrences, and how far the lines beside them agree.
-LINE_DEDUP_SQL = """
-WITH l AS (SELECT doc_id, i - 1 AS i, lines[i] AS line, md5(lines[i]) AS h, length(lines[i]) - length(replace(lines[i], ' ', '')) + 1 >= 40 AS long
-           FROM (SELECT doc_id, string_split(text, chr(10)) AS lines, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS i FROM documents WHERE text IS NOT NULL)),
-m AS (SELECT *, CASE WHEN i = 0 OR long OR lag(long) OVER w OR substr(md5(coalesce(lag(h, 2) OVER w, '') || lag(h) OVER w), 1, 1) < '8' THEN 1 ELSE 0 END AS opens FROM l WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
-n AS (SELECT *, sum(opens) OVER (PARTITION BY doc_id ORDER BY i) AS c FROM m),
-k AS (SELECT doc_id, c, min(i) AS s, max(i) + 1 AS e, list(line ORDER BY i) AS lines, bool_or(long) AS long FROM n GROUP BY doc_id, c),
-t AS (SELECT doc_id, list(h ORDER BY i) AS hs FROM l GROUP BY doc_id),
-b AS (SELECT k.*, array_to_string(lines, chr(10)) AS body, list_reverse(list_slice(hs, greatest(s - 7, 1), s)) AS before, list_slice(hs, e + 1, e + 8) AS after
-      FROM k JOIN t USING (doc_id) WHERE (e - s >= 2 OR long) AND trim(array_to_string(lines, chr(10))) <> ''),
-o AS (SELECT *, count(*) OVER (PARTITION BY body) AS copies, row_number() OVER (PARTITION BY body ORDER BY doc_id, s) AS nth,
-             first_value(before) OVER (PARTITION BY body ORDER BY doc_id, s) AS before_0, first_value(after) OVER (PARTITION BY body ORDER BY doc_id, s) AS after_0 FROM b),
-g AS (SELECT doc_id, s, e, before AS p, before_0 AS p0, after AS q, after_0 AS q0 FROM o WHERE copies > 1 AND nth > 1),
-x AS (SELECT doc_id, s - list_min(list_filter(range(0, least(len(p), len(p0)) + 1), lambda t: t = least(len(p), len(p0)) OR p[t + 1] <> p0[t + 1])) AS s,
-                     e + list_min(list_filter(range(0, least(len(q), len(q0)) + 1), lambda t: t = least(len(q), len(q0)) OR q[t + 1] <> q0[t + 1])) AS e FROM g),
-r AS (SELECT DISTINCT doc_id, unnest(range(s, e)) AS i FROM x),
-f AS (SELECT l.doc_id, count(*) AS n_lines, count(r.i) AS n_removed, coalesce(string_agg(CASE WHEN r.i IS NULL THEN line END, chr(10) ORDER BY l.i), '') AS text FROM l LEFT JOIN r ON r.doc_id = l.doc_id AND r.i = l.i GROUP BY l.doc_id)
-SELECT d.doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(f.text) AS text_sha256 FROM documents d LEFT JOIN f USING (doc_id)
+#: By definition: of each two successive lines that aren't blank, and of each long line, all occurrences but the first go, bodies being compared as they are.
+LINE_DEDUP_SQL = r"""
+WITH t AS (SELECT doc_id, md5(text) AS key, string_split(text, chr(10)) AS lines FROM documents WHERE text IS NOT NULL),
+f AS (SELECT *, list_filter(range(1, len(lines) + 1), lambda i: regexp_matches(lines[i], '\S')) AS solid FROM t),
+u AS (SELECT doc_id, key, lines, solid[k] AS s, solid[k + 1] AS e FROM (SELECT *, unnest(range(1, len(solid))) AS k FROM f WHERE len(solid) > 1)
+      UNION ALL SELECT doc_id, key, lines, i, i FROM (SELECT *, unnest(solid) AS i FROM f) WHERE length(lines[i]) - length(replace(lines[i], ' ', '')) + 1 >= 40),
+b AS (SELECT doc_id, key, s, e, array_to_string(list_slice(lines, s, e), chr(10)) AS body FROM u),
+o AS (SELECT *, first_value(doc_id) OVER w AS doc_0, first_value(key) OVER w AS key_0, first_value(e) OVER w AS e_0 FROM b WINDOW w AS (PARTITION BY body ORDER BY doc_id NULLS FIRST, key, s)),
+g AS (SELECT DISTINCT doc_id, unnest(range(s, e + 1)) AS i FROM o WHERE NOT (doc_id IS NOT DISTINCT FROM doc_0 AND key = key_0 AND s <= e_0)),
+r AS (SELECT doc_id, list(i) AS gone FROM g GROUP BY doc_id),
+k AS (SELECT t.doc_id, len(lines) AS n_lines, coalesce(len(gone), 0) AS n_removed, array_to_string(list_filter(lines, lambda x, i: gone IS NULL OR NOT list_contains(gone, i)), chr(10)) AS text FROM t LEFT JOIN r ON t.doc_id = r.doc_id)
+SELECT d.doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(k.text) AS text_sha256 FROM documents d LEFT JOIN k ON d.doc_id = k.doc_id
 """
 
 

@@ -65,3 +65,9 @@ def test_all_that_sql_removes_goes(spark, sf):
     at, n = names.index("doc_id"), names.index("n_removed")
     got = {r.doc_id: r.n_removed for r in queries.op8_line_dedup(spark, sf).collect()}
     assert all(got[r[at]] >= r[n] for r in want)
+
+
+def test_very_common_units_are_dealt_out(spark):
+    data = [(d, f"own {d}\n{A}\nend {d}", None) for d in range(40)]
+    want = {d: t if d == 0 else f"own {d}\nend {d}" for d, t, _ in data}
+    assert texts(spark, data, part_rows=3) == texts(spark, data) == want
