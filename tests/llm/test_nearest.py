@@ -59,8 +59,9 @@ def test_edges(spark):
     nan, inf = math.nan, math.inf
     rows = [(0, [1.0, 0.0], "x"), (20, [0.0, 0.0], "x"), (40, None, "x"), (60, [nan, 1.0], "x"), (80, [inf, 1.0], "x"), (100, [None, 1.0], "x"), (1, [1.0, 1.0], "x"), (2, [-1.0, 0.0], "x"), (2, [-1.0, 0.0], "x"), (3, [1.0, 2.0, 3.0], "x"), (None, [1.0, 0.0], "x"), (4, [1.0, 1.0], "x")]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, score string")
-    got = sorted(tuple(r) for r in nearest.nearest(df).collect())
-    assert got == [(0, 1, 1, 1.0), (0, 2, 4, 1.0), (0, 3, 2, -1.0)]
+    got = sorted(tuple(r)[:4] for r in nearest.nearest(df).collect())
+    # each row of an id is a candidate; one of another dimension is not
+    assert got == [(0, 1, 1, 1.0), (0, 2, 4, 1.0), (0, 3, 2, -1.0), (0, 4, 2, -1.0)]
     assert nearest.nearest(df.limit(0)).count() == 0
     assert nearest.nearest(df.where("vec_id = 0")).count() == 0
 
@@ -70,3 +71,40 @@ def test_needed_collisions():
     n = nearest.collisions_needed(80, 1.0, 0.96)
     at_least = lambda k: sum(math.comb(80, i) * p**i * (1 - p) ** (80 - i) for i in range(k, 81))
     assert at_least(n) >= 0.96 > at_least(n + 1)
+
+
+def test_tiny_and_huge_components(spark):
+    rows = [(0, [1e-200, 0.0]), (1, [1e-200, 1e-200]), (2, [-1e-200, 0.0]), (20, [1e150, 0.0]), (3, [1e-3, 2.0])]
+    got = nearest.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    by = {q: [(r.vec_id, r.score) for r in sorted((r for r in got if r.query_id == q), key=lambda r: r.rank)] for q in (0, 20)}
+    assert [i for i, _ in by[20]] == [3, 0, 1, 2] and by[20][0][1] == 1e147
+    assert by[0][0] == (20, 1e-50) and len(by[0]) == 4
+    only = nearest.nearest(spark.createDataFrame(rows[:3], "vec_id long, embedding array<double>")).collect()
+    assert sorted(r.vec_id for r in only) == [1, 2]
+
+
+def test_each_dimension_and_each_row_of_an_id(spark):
+    rng = np.random.default_rng(6)
+    rows = [(i % 50, rng.normal(size=8 if i % 3 else 5).tolist()) for i in range(150)]
+    got = nearest.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), k=200).collect()
+    for q in {i for i, _ in rows if i % 20 == 0}:
+        own = sorted(v for i, v in rows if i == q)
+        for nth, v in enumerate(own, 1):
+            found = sorted((r.rank, r.vec_id, r.score) for r in got if (r.query_id, r.query_row) == (q, nth))
+            want = sorted((-float(np.dot(v, w)), i) for i, w in rows if len(w) == len(v) and not (i == q and w is v))
+            assert [i for _, i, _ in found] == [i for _, i in want] and np.allclose([s for _, _, s in found], [-s for s, _ in want])
+
+
+def test_windows_prune_and_find(spark):
+    rng = np.random.default_rng(8)
+    centres = rng.normal(size=(200, 32))
+    shares = []
+    for n in (2000, 20_000):
+        v = centres[rng.integers(200, size=n)] + 0.3 * rng.normal(size=(n, 32))
+        block = nearest.Block(np.arange(n), v)
+        want = brute(np.arange(n), v, every=n // 40)
+        hits = sum(len(set(block.search(q, v[q], 20)[0].tolist()) & {i for _, i in w}) for q, w in want.items())
+        assert hits >= 0.93 * sum(map(len, want.values()))
+        shares.append(block.verified / block.searches / n)
+    # the more there are, the nearer the 20th is and the less is verified
+    assert shares[1] < shares[0] and shares[1] < 0.45
