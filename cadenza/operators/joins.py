@@ -14,10 +14,7 @@ from cadenza.functions import geometry as G
 from cadenza.functions.transforms import SpectralTransform, identity
 from cadenza.model import SLACK
 from cadenza.operators import spectrum
-from cadenza.operators.kindex import HEAD, KIndex, view
-
-#: Bins of the first magnitude by which leaf boxes meet.
-BINS = 64
+from cadenza.operators.kindex import HEAD, KIndex, boxes, view
 
 
 def _spectra(index: KIndex, t: SpectralTransform) -> DataFrame:
@@ -71,13 +68,20 @@ def _ordered(pairs: DataFrame, symmetric: bool) -> DataFrame:
     return pairs.unionByName(pairs.select(F.col("id_r").alias("id_l"), F.col("id_l").alias("id_r"), "dist")) if symmetric else pairs
 
 
+def symmetric(t: SpectralTransform, other: SpectralTransform) -> bool:
+    """Whether |t(x) - other(y)| is |t(y) - other(x)| for all series: other is t or its negative."""
+    close = lambda x, y: np.allclose(x, y, rtol=0, atol=1e-12)
+    return any(close(other.a, sign * t.a) and close(other.b, sign * t.b) for sign in (1, -1))
+
+
 def scan_join(index: KIndex, t: SpectralTransform | None, eps: float, staged: bool, t_right: SpectralTransform | None = None) -> DataFrame:
-    """Each series with all after it, over transformed spectra; staged: given up early. Quadratic: a baseline."""
+    """Each series with all after it (with all others, if the two sides' transformations aren't symmetric), over transformed spectra; staged: given up early. Quadratic: a baseline."""
     t = t or identity(index.n)
+    order = F.col("id_l") < F.col("id_r") if symmetric(t, t_right or t) else F.col("id_l") != F.col("id_r")
     sizes = _sizes(t.n_out, staged)
     left, right = _blocks(_spectra(index, t), "l", sizes), _blocks(_spectra(index, t_right or t), "r", sizes)
     near, distance = _near(t.n_out, sizes, eps)
-    return left.join(right, (F.col("id_l") < F.col("id_r")) & near).select("id_l", "id_r", distance.alias("dist"))
+    return left.join(right, order & near).select("id_l", "id_r", distance.alias("dist"))
 
 
 def refine_pairs(left: KIndex, right: KIndex, pairs: DataFrame, t_left: SpectralTransform, t_right: SpectralTransform, eps: float) -> DataFrame:
@@ -88,21 +92,9 @@ def refine_pairs(left: KIndex, right: KIndex, pairs: DataFrame, t_left: Spectral
     return full.where(near).select("id_l", "id_r", distance.alias("dist"))
 
 
-def _leaf_pairs(left: KIndex, right: KIndex, t_left: SpectralTransform, t_right: SpectralTransform, eps: float) -> DataFrame:
-    """(leaf_l, leaf_r) whose mapped boxes, one widened by eps, meet: joined by bins of the first axis, then tested on all."""
-    w = A.half_weights(t_left.n_out)
-    first = left.axes[0]
-    lows = [view(i, t).where("level = 0").agg(F.min(f"lo_{first}").alias("low"), F.max(f"hi_{first}").alias("high")).first() for i, t in ((left, t_left), (right, t_right))]
-    ends = [x for r in lows for x in (r.low, r.high) if x is not None]
-    low, width = (min(ends), max((max(ends) - min(ends)) / BINS, eps / 2, 1e-9)) if ends else (0.0, 1.0)
-    reach0 = eps / math.sqrt(w[left.freqs[0]])
-    boxes = []
-    for index, t, side, more in ((left, t_left, "l", reach0), (right, t_right, "r", 0.0)):
-        leaf = view(index, t).where("level = 0")
-        bins = F.sequence(F.floor((F.col(f"lo_{first}") - more - SLACK - low) / width).cast("int"), F.floor((F.col(f"hi_{first}") + more + SLACK - low) / width).cast("int"))
-        names = [F.col(f"{e}_{a}").alias(f"{e}_{a}_{side}") for a in index.axes for e in ("lo", "hi")]
-        boxes.append(leaf.select(F.col("node_id").alias(f"leaf_{side}"), *names, F.explode(bins).alias("bin")))
-    test = F.lit(True)
+def _meet(left: KIndex, n_out: int, eps: float) -> Column:
+    """Whether boxes of two sides, mapped already, come within eps in each stored coefficient."""
+    w, test = A.half_weights(n_out), F.lit(True)
     for f in left.freqs:
         reach = eps / math.sqrt(w[f])
         for a in ([f"m{f}"] if left.space == "polar" else [f"re{f}", f"im{f}"]):
@@ -112,7 +104,35 @@ def _leaf_pairs(left: KIndex, right: KIndex, t_left: SpectralTransform, t_right:
             half = F.when(m > reach * (1 + 1e-6) + 1e-6, F.asin(F.least(F.lit(reach) / m, F.lit(1.0)))).otherwise(F.lit(math.pi))
             start, arc = F.col(f"lo_p{f}_l") - half, F.col(f"hi_p{f}_l") - F.col(f"lo_p{f}_l") + 2 * half
             test = test & ((arc >= G.TURN) | G.arcs_meet(start, arc, F.col(f"lo_p{f}_r"), F.col(f"hi_p{f}_r") - F.col(f"lo_p{f}_r")))
-    return boxes[0].join(right.small(boxes[1]), "bin").where(test).select("leaf_l", "leaf_r").distinct()
+    return test
+
+
+def _leaf_pairs(left: KIndex, right: KIndex, t_left: SpectralTransform, t_right: SpectralTransform, eps: float) -> DataFrame:
+    """(leaf_l, leaf_r) whose mapped boxes come within eps: both trees are descended together, from the pair of roots, and only pairs of nodes that meet are looked into."""
+    test = _meet(left, t_left.n_out, eps)
+    nodes = {"_l": (left, view(left, t_left)), "_r": (right, view(right, t_right))}
+    top = max(left.levels, right.levels) - 1
+    at = {"_l": left.levels - 1, "_r": right.levels - 1}
+    roots = [boxes(index, seen, at[side], side) for side, (index, seen) in nodes.items()]
+    pairs = roots[0].join(roots[1], F.col("up_l") == F.col("up_r")).where(test)
+    for level in range(top - 1, -1, -1):
+        for side, (index, seen) in nodes.items():
+            if at[side] > level:
+                kept = [c for c in pairs.columns if not c.endswith(side)]
+                below = boxes(index, seen, level, side)
+                pairs = pairs.select(*kept, F.col(f"node{side}").alias("parent")).join(below, F.col("parent") == F.col(f"up{side}")).drop("parent").where(test)
+                at[side] = level
+    return pairs.select(F.col("node_l").alias("leaf_l"), F.col("node_r").alias("leaf_r"))
+
+
+def descend(outer: DataFrame, index: KIndex, t: SpectralTransform, meets: Column) -> DataFrame:
+    """outer's rows with each leaf (leaf_r) that they reach from the root: into nodes of the tree after t for which meets holds, a test over outer's columns and lo_, hi_ of the axes."""
+    seen = view(index, t)
+    found = outer.withColumn("node", F.lit(0).cast("long"))
+    for level in range(index.levels - 1, -1, -1):
+        below = boxes(index, seen, level)
+        found = found.withColumnRenamed("node", "parent").join(below, F.col("parent") == F.col("up")).where(meets).select(*outer.columns, "node")
+    return found.withColumnRenamed("node", "leaf_r")
 
 
 def join(left: KIndex, right: KIndex, t_left: SpectralTransform | None, t_right: SpectralTransform | None, eps: float) -> DataFrame:
@@ -124,12 +144,18 @@ def join(left: KIndex, right: KIndex, t_left: SpectralTransform | None, t_right:
 
 
 def self_join(index: KIndex, t: SpectralTransform | None, eps: float, pairs: str = "unordered", t_right: SpectralTransform | None = None) -> DataFrame:
-    """Pairs of different series of one relation. t_right: the other side's transformation, say with a reversal (then for both orders of a pair, if asked, by symmetry of a smoothing and its negative)."""
+    """Pairs of different series of one relation. t_right: the other side's transformation, say with a reversal.
+
+    Where both sides are treated alike, or one as the other's negative, a pair is the same in both orders: once, or
+    ordered if asked. Otherwise the orders differ, and each (id_l, id_r) with |t(l) - t_right(r)| <= eps is a row of its own.
+    """
     t = t or identity(index.n)
     other = t_right or t
+    alike = symmetric(t, other)
     leaves = _leaf_pairs(index, index, t, other, eps)
-    near = _points(index, t, "l").join(leaves, "leaf_l").join(_points(index, other, "r"), "leaf_r").where((F.col("id_l") < F.col("id_r")) & (_prefix(index, t.n_out) <= (eps + SLACK) ** 2)).select("id_l", "id_r")
-    return _ordered(refine_pairs(index, index, near, t, other, eps), pairs == "ordered")
+    order = F.col("id_l") < F.col("id_r") if alike else F.col("id_l") != F.col("id_r")
+    near = _points(index, t, "l").join(leaves, "leaf_l").join(_points(index, other, "r"), "leaf_r").where(order & (_prefix(index, t.n_out) <= (eps + SLACK) ** 2)).select("id_l", "id_r")
+    return _ordered(refine_pairs(index, index, near, t, other, eps), alike and pairs == "ordered")
 
 
 def grid_join(left: KIndex, right: KIndex, t_left: SpectralTransform | None, t_right: SpectralTransform | None, eps: float, distinct_ids: bool = False) -> DataFrame:
@@ -147,11 +173,10 @@ def grid_join(left: KIndex, right: KIndex, t_left: SpectralTransform | None, t_r
 
 
 def index_nested_loop(index: KIndex, t: SpectralTransform | None, eps: float) -> DataFrame:
-    """Each series as a range query against the index, with t on the index and on the search boxes; both orders of each pair. The outer side's boxes meet leaf boxes, then points."""
+    """Each series as a range query against the index, with t on the index and on the search boxes; both orders of each pair. From the root down, an outer series goes into the nodes that its search box meets."""
     t = t or identity(index.n)
     w = A.half_weights(t.n_out)
-    outer = _points(index, t, "l")
-    leaf = view(index, t).where("level = 0").select(F.col("node_id").alias("leaf_r"), *(c for a in index.axes for c in (f"lo_{a}", f"hi_{a}")))
+    outer = _points(index, t, "l").drop("leaf_l")
     meets = F.lit(True)
     for f in index.freqs:
         reach = eps / math.sqrt(w[f]) + SLACK
@@ -162,15 +187,10 @@ def index_nested_loop(index: KIndex, t: SpectralTransform | None, eps: float) ->
         else:
             for p in ("re", "im"):
                 meets = meets & (F.col(f"lo_{p}{f}") <= F.col(f"{p}{f}_l") + reach) & (F.col(f"hi_{p}{f}") >= F.col(f"{p}{f}_l") - reach)
-    probes = outer.join(index.small(leaf), meets).select("id_l", *(f"{p}{f}_l" for f in index.freqs for p in ("re", "im")), "leaf_r")
-    near = probes.join(_points(index, t, "r"), "leaf_r").where((F.col("id_l") != F.col("id_r")) & (_prefix(index, t.n_out) <= (eps + SLACK) ** 2)).select("id_l", "id_r")
+    near = descend(outer, index, t, meets).join(_points(index, t, "r"), "leaf_r").where((F.col("id_l") != F.col("id_r")) & (_prefix(index, t.n_out) <= (eps + SLACK) ** 2)).select("id_l", "id_r")
     return refine_pairs(index, index, near, t, t, eps)
 
 
-def answer_size(pairs: DataFrame) -> int:
-    return pairs.count()
-
-
 def speedups(seconds: dict[str, float]) -> dict[str, float]:
     """Ratios a/b, b/c, b/d and d/c of the join methods' times."""
     return {f"{x}/{y}": seconds[x] / seconds[y] for x, y in ("ab", "bc", "bd", "dc") if seconds.get(x) and seconds.get(y)}

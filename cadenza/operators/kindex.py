@@ -58,7 +58,7 @@ class KIndex:
         """Features clustered by leaf, spectra, nodes and what is needed to open them again."""
         self.features.repartitionByRange("leaf_id").sortWithinPartitions("leaf_id").write.parquet(f"{path}/features")
         self.spectra.repartitionByRange("leaf_id").sortWithinPartitions("leaf_id").write.parquet(f"{path}/spectra")
-        self.nodes.coalesce(1).write.parquet(f"{path}/nodes")
+        self.nodes.repartitionByRange("level", "node_id").write.parquet(f"{path}/nodes")
         meta = [(self.n, list(self.freqs), self.space, self.normal, self.levels, self.leaves, list(self.attrs))]
         self.features.sparkSession.createDataFrame(meta, META).coalesce(1).write.parquet(f"{path}/index_meta")
 
@@ -93,14 +93,14 @@ def _tiles(df: DataFrame, axes: list[str], rows: int, leaf_rows: int) -> tuple[D
 def _tree(features: DataFrame, axes: list[str], leaves: int) -> tuple[DataFrame, int]:
     """All levels: leaves hold points, each level above FAN_OUT nodes of the one below. Boxes never cross the seam of angles."""
     bounds = [x for a in axes for x in (F.min(a).alias(f"lo_{a}"), F.max(a).alias(f"hi_{a}"))]
-    level = features.groupBy(F.col("leaf_id").alias("node_id")).agg(*bounds, F.count(F.lit(1)).alias("n_points"))
+    level = features.groupBy(F.col("leaf_id").alias("node_id")).agg(*bounds, F.max("tail_energy").alias("tail_max"), F.count(F.lit(1)).alias("n_points"))
     parent = lambda df, k: df.withColumn("level", F.lit(k)).withColumn("parent_id", F.floor(F.col("node_id") / FAN_OUT).cast("long"))
     nodes, count, k = parent(level, 0), leaves, 0
     below = nodes
     while count > 1:
         count, k = math.ceil(count / FAN_OUT), k + 1
         up = [x for a in axes for x in (F.min(f"lo_{a}").alias(f"lo_{a}"), F.max(f"hi_{a}").alias(f"hi_{a}"))]
-        below = parent(below.groupBy(F.col("parent_id").alias("node_id")).agg(*up, F.sum("n_points").alias("n_points")), k)
+        below = parent(below.groupBy(F.col("parent_id").alias("node_id")).agg(*up, F.max("tail_max").alias("tail_max"), F.sum("n_points").alias("n_points")), k)
         nodes = nodes.unionByName(below)
     return nodes, k + 1
 
@@ -143,26 +143,51 @@ def build(r: SeriesRelation, k: int = 2, space: str = "polar", normal: bool = Tr
 
 
 def view(index: KIndex, t: SpectralTransform) -> DataFrame:
-    """The tree after t, lazily: a projection over nodes. Polar angles may pass the seam; they are arcs from lo on."""
+    """The tree after t, lazily: a projection over nodes. Polar angles may pass the seam; they are arcs from lo on.
+
+    A safe t maps boxes to boxes. Otherwise these are the least boxes in this space that surely hold the mapped ones, so
+    what is searched with them loses nothing: a complex multiplier turns a rectangle, a translation
+    moves a sector off its arcs.
+    """
     out = index.nodes
     for f in index.freqs:
         a, b = complex(t.a[f]), complex(t.b[f])
         if index.space == "polar":
             turn = math.atan2(a.imag, a.real)
-            out = out.withColumns({f"lo_m{f}": F.col(f"lo_m{f}") * abs(a), f"hi_m{f}": F.col(f"hi_m{f}") * abs(a), f"lo_p{f}": F.col(f"lo_p{f}") + turn, f"hi_p{f}": F.col(f"hi_p{f}") + turn})
+            low, high, start, end = F.col(f"lo_m{f}") * abs(a), F.col(f"hi_m{f}") * abs(a), F.col(f"lo_p{f}") + turn, F.col(f"hi_p{f}") + turn
+            if abs(b) > TINY:
+                size = F.lit(abs(b))
+                spread = F.when(low > size * (1 + 1e-9), F.asin(F.least(size / low, F.lit(1.0)))).otherwise(F.lit(math.pi))
+                low, high, start, end = F.greatest(low - size, size - high, F.lit(0.0)), high + size, start - spread, end + spread
+            out = out.withColumns({f"lo_m{f}": low, f"hi_m{f}": high, f"lo_p{f}": start, f"hi_p{f}": end})
+        elif index.space == "rect":
+            re, im = ((F.col(f"lo_{p}{f}"), F.col(f"hi_{p}{f}")) for p in ("re", "im"))
+            moved = {}
+            for name, x, y, shift in (("re", a.real, -a.imag, b.real), ("im", a.imag, a.real, b.imag)):
+                moved[f"lo_{name}{f}"] = F.least(re[0] * x, re[1] * x) + F.least(im[0] * y, im[1] * y) + shift
+                moved[f"hi_{name}{f}"] = F.greatest(re[0] * x, re[1] * x) + F.greatest(im[0] * y, im[1] * y) + shift
+            out = out.withColumns(moved)
         else:
-            for name, shift in ((f"re{f}", b.real), (f"im{f}", b.imag)) if index.space == "rect" else ((f"x{f}", b.real),):
-                low, high = F.col(f"lo_{name}") * a.real + shift, F.col(f"hi_{name}") * a.real + shift
-                out = out.withColumns({f"lo_{name}": F.least(low, high), f"hi_{name}": F.greatest(low, high)})
+            low, high = F.col(f"lo_x{f}") * a.real + b.real, F.col(f"hi_x{f}") * a.real + b.real
+            out = out.withColumns({f"lo_x{f}": F.least(low, high), f"hi_x{f}": F.greatest(low, high)})
     return out
 
 
+def boxes(index: KIndex, nodes: DataFrame, level: int, side: str = "") -> DataFrame:
+    """Nodes of one level, named by side: node, up (the parent), lo_ and hi_ of each axis; to be broadcast where their number is bounded."""
+    found = nodes.where(F.col("level") == level).select(F.col("node_id").alias(f"node{side}"), F.col("parent_id").alias(f"up{side}"), *(F.col(f"{e}_{a}").alias(f"{e}_{a}{side}") for a in index.axes for e in ("lo", "hi")))
+    return F.broadcast(found) if index.leaves <= BROADCAST_NODES * FAN_OUT**level else found
+
+
 def append(index: KIndex, r_new: SeriesRelation) -> KIndex:
-    """The index with further series: each goes to the leaf whose box grows least, and boxes widen. Repack when leaves have become uneven."""
+    """The index with further series: from the root down each goes to the node whose box grows least, and boxes widen. Repack when leaves have become uneven."""
     fresh = build(r_new, len(index.freqs), index.space, index.normal, leaf_rows=1 << 40)
-    leaf = index.nodes.where("level = 0")
     growth = sum((F.greatest(F.col(f"lo_{a}") - F.col(a), F.lit(0.0)) + F.greatest(F.col(a) - F.col(f"hi_{a}"), F.lit(0.0)) for a in index.axes), F.lit(0.0))
-    placed = fresh.features.drop("leaf_id").join(index.small(leaf)).groupBy("series_id").agg(F.min_by("node_id", F.struct(growth, F.col("node_id"))).alias("leaf_id"))
+    placed = fresh.features.select("series_id", *index.axes, F.lit(0).cast("long").alias("leaf_id"))
+    for level in range(index.levels - 2, -1, -1):
+        below = placed.join(boxes(index, index.nodes, level), F.col("leaf_id") == F.col("up"))
+        placed = below.groupBy("series_id", *index.axes).agg(F.min_by("node", F.struct(growth, F.col("node"))).alias("leaf_id"))
+    placed = placed.select("series_id", "leaf_id")
     features = keep(index.features.unionByName(fresh.features.drop("leaf_id").join(placed, "series_id")))
     spectra = index.spectra.unionByName(fresh.spectra.drop("leaf_id").join(placed, "series_id"))
     nodes, levels = _tree(features, index.axes, index.leaves)

@@ -11,12 +11,25 @@ from pyspark.sql import functions as F
 
 from cadenza.functions import arrays as A
 from cadenza.functions import geometry as G
+from cadenza.functions.safety import is_safe
 from cadenza.functions.transforms import SpectralTransform, identity
 from cadenza.model import SLACK
-from cadenza.operators.joins import _points, _prefix, refine_pairs, tail_bound
-from cadenza.operators.kindex import KIndex
+from cadenza.operators.joins import _points, _prefix, descend, refine_pairs, tail_bound
+from cadenza.operators.kindex import BROADCAST_NODES, FAN_OUT, KIndex, boxes, view
 from cadenza.operators.range_search import refine, search
 from cadenza.plans.planner import plan_search, prefix_square
+from cadenza.storage import keep
+
+
+def minmax_square(at: dict[str, tuple[float, float]], farthest: bool = False) -> Column:
+    """Square of a distance within which a box surely holds a point, by the weighted axes in at {axis: (query, weight)}: each face touches one. farthest: within which it holds all its points, as is needed if one of them doesn't count."""
+    near, far = {}, {}
+    for a, (q, w) in at.items():
+        low, high = F.col(f"lo_{a}"), F.col(f"hi_{a}")
+        ends = F.pow(low - q, F.lit(2.0)) * w, F.pow(high - q, F.lit(2.0)) * w
+        near[a], far[a] = F.least(*ends), F.greatest(*ends)
+    every = reduce(lambda x, y: x + y, far.values())
+    return every if farthest else F.least(*(every - far[a] + near[a] for a in at))
 
 
 def search_nearest(index: KIndex, q, t: SpectralTransform | None, j: int, transform_query: bool = False, bound: str = "features", exclude: int | None = None) -> DataFrame:
@@ -25,8 +38,8 @@ def search_nearest(index: KIndex, q, t: SpectralTransform | None, j: int, transf
     Round one finds a distance that j series are surely within; round two is a range query for it.
     features: from an upper bound for each series, of its stored coefficients and tail energy, so no
     full record is read. mindist: the full distances of series in the leaves nearest to q, until
-    there are 4 j of them. (A bound from boxes alone would hold for stored coefficients only, not for
-    distances, so it can't be used as it is.)
+    there are 4 j of them. minmaxdist: from boxes alone: each leaf surely holds a point within its MINMAXDIST in the
+    stored coefficients, and what the rest can add is bounded by the leaf's largest tail energy; rectangular space only.
     """
     plan = plan_search(index, q, t, math.inf, transform_query)
     others = index.features if exclude is None else index.features.where(F.col("series_id") != exclude)
@@ -37,6 +50,18 @@ def search_nearest(index: KIndex, q, t: SpectralTransform | None, j: int, transf
         q_tail = math.sqrt(float((rest * np.abs(plan.q[: len(rest)]) ** 2).sum()))
         at_most = F.sqrt(prefix_square(plan, index) + F.pow(tail_bound(plan.t, index.freqs) * F.sqrt(F.greatest("tail_energy", F.lit(0.0))) + q_tail, F.lit(2.0)))
         best = others.select(at_most.alias("u")).orderBy("u").limit(j)
+    elif bound == "minmaxdist":
+        if index.space != "rect" or not is_safe(plan.t, "rect").safe:
+            raise ValueError("minmaxdist needs the rectangular space and a transformation that is safe there")
+        rest = plan.weights.copy()
+        rest[[f for f in index.freqs if f < len(rest)]] = 0
+        q_tail = math.sqrt(float((rest * np.abs(plan.q[: len(rest)]) ** 2).sum()))
+        leaves = view(index, plan.t).where("level = 0")
+        if exclude is not None:  # a leaf's point that is surely near may be the one left out
+            leaves = leaves.where("n_points > 1")
+        ahead = minmax_square({f"{p}{f}": (float(x), float(plan.weights[f])) for f in index.freqs for p, x in (("re", plan.q[f].real), ("im", plan.q[f].imag))}, exclude is not None)
+        at_most = F.sqrt(ahead + F.pow(tail_bound(plan.t, index.freqs) * F.sqrt(F.greatest("tail_max", F.lit(0.0))) + q_tail, F.lit(2.0)))
+        best = leaves.select(at_most.alias("u")).orderBy("u").limit(j)
     else:
         square = reduce(lambda x, y: x + y, (G.box_distance_square(f, complex(plan.t.a[f]), F.lit(float(plan.q[f].real)), F.lit(float(plan.q[f].imag)), index.space) * float(plan.weights[f]) for f in index.freqs))
         leaves = index.nodes.where("level = 0").select("node_id", "n_points", square.alias("d")).orderBy("d", "node_id")
@@ -61,28 +86,40 @@ def search_nearest(index: KIndex, q, t: SpectralTransform | None, j: int, transf
 def join_nearest(left: KIndex, right: KIndex, t: SpectralTransform | None, j: int, probe_points: int = 4, distinct_ids: bool = False) -> DataFrame:
     """(id_l, id_r, dist, rank): the j nearest of right for each of left, t on both.
 
-    For each left series the leaves nearest to it, by box distance, are probed until they hold
-    probe_points * j points; the j-th best upper bound found is its reach; leaves and points within
-    it are refined. Leaves are few and are broadcast.
+    Each left series first goes down right's tree, always to the nearest node that holds probe_points * j
+    points; of the points there the j-th best upper bound is its reach. Then it goes down once more,
+    into all nodes within its reach, and what it finds there is refined. If right holds fewer points, it gets them all.
     """
     t = t or identity(left.n)
     w = A.half_weights(t.n_out)
-    leaf = right.small(right.nodes.where("level = 0").drop("level", "parent_id"))
-    outer = _points(left, t, "l").join(left.features.select(F.col("series_id").alias("id_l"), F.col("tail_energy").alias("tail_l")), "id_l")
-    square = reduce(lambda x, y: x + y, (G.box_distance_square(f, complex(t.a[f]), F.col(f"re{f}_l"), F.col(f"im{f}_l"), right.space) * float(w[f]) for f in right.freqs))
-    ranked = outer.crossJoin(leaf).withColumn("box", F.sqrt(square))
-    before = F.sum("n_points").over(Window.partitionBy("id_l").orderBy("box", "node_id").rowsBetween(Window.unboundedPreceding, -1))
-    ranked = ranked.withColumn("before", F.coalesce(before, F.lit(0))).select(*outer.columns, "box", "before", F.col("node_id").alias("leaf_r"))
+    names = [f"{p}{f}_l" for f in right.freqs for p in ("re", "im")]
+    outer = _points(left, t, "l").drop("leaf_l").join(left.features.select(F.col("series_id").alias("id_l"), F.col("tail_energy").alias("tail_l")), "id_l")
+    # boxes are mapped by view(), so the distance is taken to them as they are
+    box = F.sqrt(reduce(lambda x, y: x + y, (G.box_distance_square(f, 1 + 0j, F.col(f"re{f}_l"), F.col(f"im{f}_l"), right.space) * float(w[f]) for f in right.freqs)))
     inner = _points(right, t, "r").join(right.features.select(F.col("series_id").alias("id_r"), F.col("tail_energy").alias("tail_r")), "id_r")
     different = F.col("id_l") != F.col("id_r") if distinct_ids else F.lit(True)
+    seen = view(right, t)
+    need = probe_points * j
+    home = outer.select("id_l", *names, F.lit(0).cast("long").alias("node"), F.lit(right.levels - 1).alias("at"))
+    for level in range(right.levels - 2, -1, -1):
+        below = boxes(right, seen, level).join(seen.where(F.col("level") == level).select(F.col("node_id").alias("node"), "n_points"), "node").where(F.col("n_points") >= need).drop("n_points").withColumnRenamed("node", "child")
+        below = F.broadcast(below) if right.leaves <= BROADCAST_NODES * FAN_OUT**level else below
+        nearest = home.where(F.col("at") == level + 1).join(below, F.col("node") == F.col("up")).groupBy("id_l").agg(F.min_by("child", F.struct(box, F.col("child"))).alias("child"))
+        home = home.join(nearest, "id_l", "left").select("id_l", *names, F.coalesce("child", "node").alias("node"), F.when(F.col("child").isNull(), F.col("at")).otherwise(F.lit(level)).alias("at"))
+    # points by the node they are under, at each level that is some series' home
+    placed = inner.select("*", F.explode(F.transform(F.array(*(F.lit(x) for x in range(right.levels))), lambda k: F.struct(k.alias("at"), F.floor(F.col("leaf_r") / F.pow(F.lit(float(FAN_OUT)), k)).cast("long").alias("node")))).alias("u")).select("*", "u.at", "u.node").drop("u")
+    homes = keep(home.join(outer.select("id_l", "tail_l"), "id_l"))
+    placed = placed.join(F.broadcast(keep(homes.select("at", "node").distinct())) if right.leaves <= BROADCAST_NODES else homes.select("at", "node").distinct(), ["at", "node"], "left_semi")
     rest = tail_bound(t, right.freqs)
     tail = rest * (F.sqrt(F.greatest("tail_l", F.lit(0.0))) + F.sqrt(F.greatest("tail_r", F.lit(0.0))))
     at_most = F.sqrt(_prefix(right, t.n_out) + tail * tail)
-    probed = ranked.where(F.col("before") < probe_points * j).join(inner, "leaf_r").where(different).select("id_l", at_most.alias("u"))
+    probed = homes.join(placed, ["at", "node"]).where(different).select("id_l", at_most.alias("u"))
     nth = F.row_number().over(Window.partitionBy("id_l").orderBy("u"))
-    reach = probed.withColumn("nth", nth).where(F.col("nth") == j).select("id_l", (F.col("u") * (1 + 1e-9) + SLACK).alias("reach"))
-    near = ranked.join(reach, "id_l", "left").where(F.col("box") <= F.coalesce("reach", F.lit(math.inf))).join(inner, "leaf_r")
-    near = near.where(different & (F.sqrt(_prefix(right, t.n_out)) <= F.coalesce("reach", F.lit(math.inf)))).select("id_l", "id_r")
+    reach = probed.withColumn("nth", nth).where(F.col("nth") <= j).groupBy("id_l").agg(F.max("u").alias("u"), F.count(F.lit(1)).alias("n"))
+    reach = reach.where(F.col("n") == j).select("id_l", (F.col("u") * (1 + 1e-9) + SLACK).alias("reach"))
+    reaching = outer.select("id_l", *names).join(reach, "id_l", "left").withColumn("reach", F.coalesce("reach", F.lit(math.inf)))
+    near = descend(reaching, right, t, box <= F.col("reach")).join(inner, "leaf_r")
+    near = near.where(different & (F.sqrt(_prefix(right, t.n_out)) <= F.col("reach"))).select("id_l", "id_r")
     full = refine_pairs(left, right, near, t, t, 1e150)
     rank = F.row_number().over(Window.partitionBy("id_l").orderBy("dist", "id_r"))
     return full.withColumn("rank", rank).where(F.col("rank") <= j)

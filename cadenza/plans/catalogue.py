@@ -25,7 +25,7 @@ def queries() -> dict[str, Query]:
     plain = [
         W.normal_form, W.normal_form_restore, W.rejected_series, W.dft_features, W.dft_spectrum, W.idft_roundtrip, W.energy_parseval, W.energy_concentration, W.circular_convolution, W.linearity_gap, W.mavg_standard, W.mavg_gap, W.mavg_repeated,
         W.affine_spectrum, W.safety_verdicts, W.safety_counterexample, W.index_nodes_cover, W.example_smoothing, W.example_stretch, W.example_stepwise, W.example_repeated_smoothing, W.range_single, W.range_shape, W.range_stretch, W.range_mean_sd,
-        W.range_subset, W.range_real_vectors, W.join_two_relations, W.join_regions, W.knn_join, W.dissimilarity_pairs, W.dissimilarity_range, W.lemma_no_dismissals, W.false_hits, W.measure_nodes, W.measure_coefficients, W.measure_answer_sweep, W.measure_index_quality, W.timed_methods,
+        W.range_subset, W.range_real_vectors, W.join_two_relations, W.join_asymmetric, W.join_rect_unsafe, W.join_translation_one_side, W.lemma_joins_no_dismissals, W.knn_minmaxdist, W.join_regions, W.knn_join, W.dissimilarity_pairs, W.dissimilarity_range, W.lemma_no_dismissals, W.false_hits, W.measure_nodes, W.measure_coefficients, W.measure_answer_sweep, W.measure_index_quality, W.timed_methods,
     ]
     out |= {f.__name__: f for f in plain}
     out |= {
@@ -71,8 +71,8 @@ def queries() -> dict[str, Query]:
         "knn_mavg": W.knn(8, "features"),
         "knn_mindist": W.knn(8, "mindist"),
     }
-    for n, count in ((64, 1000), (128, 500), (128, 2000), (256, 500)):
-        out |= {f"walk_identity_{n}_{count}": W.walk_queries(n, count, True), f"walk_plain_{n}_{count}": W.walk_queries(n, count, False)}
+    for n, count in oracles.WALKS:
+        out |= {f"walk_identity_{n}_{count}": W.walk_queries(n, count, True), f"walk_plain_{n}_{count}": W.walk_queries(n, count, False), f"walk_scan_{n}_{count}": W.walk_scan(n, count)}
     return out | surface.queries() | windows.queries()
 
 

@@ -13,9 +13,9 @@ R = {
     "supplier_walk": f"{_LEVEL}, r0 AS (SELECT series_id, list(CAST(value AS DOUBLE) ORDER BY pos) AS u FROM lv GROUP BY series_id), r1 AS (SELECT series_id, list_transform(u, lambda x: x - list_sum(u) / 128) AS v FROM r0), r AS (SELECT series_id, {_CUMULATE} AS v FROM r1)",
     "embedding_level": "r AS (SELECT vec_id AS series_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings)",
     "embedding_walk": f"r1 AS (SELECT vec_id AS series_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings), r AS (SELECT series_id, {_CUMULATE} AS v FROM r1)",
-    "event_walk": f"e AS (SELECT user_id, value - 50 AS x, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS n FROM events), r1 AS (SELECT user_id AS series_id, list(x ORDER BY n) AS v FROM e WHERE n <= 32 GROUP BY 1 HAVING count(*) = 32), r AS (SELECT series_id, {_CUMULATE} AS v FROM r1)",
+    "event_walk": f"e0 AS (SELECT user_id, epoch_us(ts) AS t, value FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL AND value IS NOT NULL), e1 AS (SELECT *, min(t) OVER (PARTITION BY user_id) AS a, max(t) OVER (PARTITION BY user_id) AS b FROM e0), e2 AS (SELECT user_id, ((t - a) * 32) // (b - a + 1) AS p, avg(value) - 50 AS x FROM e1 GROUP BY 1, 2), r1 AS (SELECT u.user_id AS series_id, list(coalesce(x, 0.0) ORDER BY u.p) AS v FROM (SELECT user_id, unnest(range(0, 32)) AS p FROM (SELECT DISTINCT user_id FROM e2)) u LEFT JOIN e2 ON e2.user_id = u.user_id AND e2.p = u.p GROUP BY 1), r AS (SELECT series_id, {_CUMULATE} AS v FROM r1)",
     "segment_sales": "o AS (SELECT r_name AS region, n_name AS nation, c_mktsegment AS segment, o_orderpriority AS priority, CAST(floor(datediff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) * 32 / 2405) AS INT) AS pos, CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DOUBLE) AS value FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL), k AS (SELECT *, row_number() OVER (ORDER BY nation, segment, priority) AS series_id FROM (SELECT DISTINCT region, nation, segment, priority FROM o)), r AS (SELECT series_id, region, nation, segment, priority, list(coalesce(value, 0.0) ORDER BY p) AS v FROM (SELECT k.*, p, value FROM k CROSS JOIN (SELECT unnest(range(0, 32)) AS p) LEFT JOIN o ON o.nation = k.nation AND o.segment = k.segment AND o.priority = k.priority AND o.pos = p) GROUP BY ALL)",
-    "doc_wordlen": "w AS (SELECT doc_id AS series_id, list_filter(string_split_regex(text, '[ \\t\\n\\r]+'), lambda x: x <> '') AS ws FROM documents), r AS (SELECT series_id, list_transform(list_slice(ws, 1, 128), lambda x: CAST(length(x) AS DOUBLE)) AS v FROM w WHERE len(ws) >= 128)",
+    "doc_wordlen": "w AS (SELECT doc_id AS series_id, list_transform(list_filter(string_split_regex(text, '[ \\t\\n\\r]+'), lambda x: x <> ''), lambda x: length(x)) AS ws FROM documents), r AS (SELECT series_id, list_transform(range(0, 128), lambda p: list_avg(list_slice(ws, (p * len(ws)) // 128 + 1, greatest(((p + 1) * len(ws)) // 128, (p * len(ws)) // 128 + 1)))) AS v FROM w WHERE len(ws) > 0)",
 }
 _UNIT = "(('0x' || substr(md5({}), 1, 8))::BIGINT / 4294967296.0)"
 
@@ -25,6 +25,8 @@ def walk(n: int, count: int) -> str:
     return f"ks AS (SELECT p_partkey AS series_id, CAST(p_partkey AS VARCHAR) AS k FROM part ORDER BY 1 LIMIT {count}), r1 AS (SELECT series_id, list_prepend({start}, list_transform(range(1, {n}), lambda i: {_UNIT.format("k || '-' || i")} * 8 - 4)) AS v FROM ks), r AS (SELECT series_id, {_CUMULATE} AS v FROM r1)"
 
 
+#: Lengths at 1,000 walks, and counts at length 128 (as many as there are parts).
+WALKS = [*((n, 1000) for n in (64, 128, 256, 512, 1024)), *((128, c) for c in (500, 2000, 4000, 8000, 12_000))]
 R["random_walk"] = walk(128, 1000)
 
 
@@ -103,7 +105,7 @@ def _dissimilarity(budget: str = "") -> str:
     neg = lambda c: f"list_transform({c}, lambda x: -x)"
     steps = {"m": (0.4, lambda c: conv(c, m)), "r": (0.7, neg), "d": (0.9, lambda c: conv(c, d))}
     parts = ["SELECT series_id, 0.0::DOUBLE AS cost, v FROM s0"]
-    ctes = "s0 AS MATERIALIZED (SELECT series_id, v FROM z WHERE region = 'ASIA' AND priority = '1-URGENT')"
+    ctes = "s0 AS MATERIALIZED (SELECT series_id, v FROM z WHERE region = 'ASIA')"
     for a, (cost, f) in steps.items():
         ctes += f", s{a} AS MATERIALIZED (SELECT series_id, {f('v')} AS v FROM s0)"
         parts.append(f"SELECT series_id, {cost}::DOUBLE AS cost, v FROM s{a}")
@@ -157,7 +159,7 @@ def catalogue() -> dict[str, str]:
     # 'window' is a keyword for some: quoted as a name
     out["example_stretch"] = out["example_stretch"].replace("AS window,", 'AS "window",')
     c = conv("v", m20)
-    out["example_stepwise"] = f"WITH {R['supplier_walk']}, n AS MATERIALIZED (SELECT series_id, v AS raw, list_transform(v, lambda x: x - list_avg(v)) AS cen, {normal()} AS v FROM r WHERE series_id BETWEEN 1 AND 11), s AS MATERIALIZED (SELECT *, {c} AS sm FROM n) SELECT a.series_id, {r4('list_distance(a.raw, b.raw)')} AS raw, {r4('list_distance(a.cen, b.cen)')} AS shifted, {r4('list_distance(a.v, b.v)')} AS normal, {r4('list_distance(a.sm, b.sm)')} AS smoothed, {r4('list_distance(a.sm, list_transform(b.sm, lambda x: -x))')} AS opposite FROM s a, s b WHERE b.series_id = 1 AND a.series_id > 1"
+    out["example_stepwise"] = f"WITH {R['supplier_walk']}, n AS MATERIALIZED (SELECT series_id, v AS raw, list_transform(v, lambda x: x - list_avg(v)) AS cen, {normal()} AS v FROM r), s AS MATERIALIZED (SELECT *, {c} AS sm FROM n) SELECT a.series_id, {r4('list_distance(a.raw, b.raw)')} AS raw, {r4('list_distance(a.cen, b.cen)')} AS shifted, {r4('list_distance(a.v, b.v)')} AS normal, {r4('list_distance(a.sm, b.sm)')} AS smoothed, {r4('list_distance(a.sm, list_transform(b.sm, lambda x: -x))')} AS opposite FROM s a, s b WHERE b.series_id = 1 AND a.series_id <> 1"
     chain = ", ".join([f"p0 AS MATERIALIZED (SELECT series_id, v FROM z WHERE series_id IN (3, 7))", *(f"p{k} AS MATERIALIZED (SELECT series_id, {c} AS v FROM p{k - 1})" for k in range(1, 11))])
     out["example_repeated_smoothing"] = f"WITH {z('supplier_walk')}, {chain} " + " UNION ALL ".join(f"SELECT CAST({k} AS INT) AS p, {r4('list_distance(a.v, b.v)')} AS dist FROM p{k} a, p{k} b WHERE a.series_id = 3 AND b.series_id = 7" for k in (0, 1, 2, 3, 10))
     E, P = "embedding_walk", "supplier_walk"
@@ -183,11 +185,18 @@ def catalogue() -> dict[str, str]:
     out["join_c_index"], out["join_d_index_mavg"] = joined(P, 5, None, True), joined(P, 5, m20, True)
     out["join_documents"] = joined("doc_wordlen", 0.5, m20)
     out["join_all_pairs"] = joined(E, 1.2, m8)
+    one_sided = lambda name, left, right, eps: f"WITH {z(name)}, t AS MATERIALIZED (SELECT series_id, {left} AS x, {right} AS y FROM z), d AS (SELECT a.series_id AS id_l, b.series_id AS id_r, list_distance(a.x, b.y) AS dist FROM t a JOIN t b ON a.series_id <> b.series_id) SELECT id_l, id_r, {r4('dist')} AS dist FROM d WHERE dist <= {eps}"
+    out["join_asymmetric"] = one_sided("event_walk", "v", conv("v", m5), 2.6)
+    wave = f"list_transform(range(1, 65), lambda i: {conv('v', m8)}[i] + 0.25 * cos(2 * pi() * (i - 1) / 64))"
+    out["join_translation_one_side"] = one_sided(E, wave, conv("v", m8), 1.6)
+    out["join_rect_unsafe"] = joined(P, 5, m20, True)
+    out["lemma_joins_no_dismissals"] = values([(n, s, k, 0, 0) for n in ("supplier_walk", "embedding_walk", "event_walk") for s in ("polar", "rect") for k in ("both sides", "one side", "translation")], ["relation", "space", "kind", "missed", "invented"]).replace("SELECT *", "SELECT relation, space, kind, CAST(missed AS BIGINT) AS missed, CAST(invented AS BIGINT) AS invented")
     out["join_two_relations"] = joined(E, 1.4, m8, halves=True)
     out["join_reverse"] = joined(P, 3.3, m20, negative=True)
     regions = f"WITH {z('segment_sales')}, t AS MATERIALIZED (SELECT series_id, region, v, {conv('v', m5)} AS s FROM z), p AS (SELECT a.series_id AS id_l, b.series_id AS id_r, list_distance(a.v, b.v) AS alike, list_distance(a.s, b.s) AS smoothed, list_distance(a.s, list_transform(b.s, lambda x: -x)) AS opposite FROM t a JOIN t b ON a.region = 'ASIA' AND b.region = 'EUROPE')"
     out["join_regions"] = f"{regions} " + " UNION ALL ".join(f"SELECT id_l, id_r, {r4(k)} AS dist, '{k}' AS kind FROM p WHERE {k} <= {e}" for k, e in (("alike", 3.6), ("smoothed", 1.3), ("opposite", 1.3)))
     out["knn_plain"] = nearest(E, 11, 10)
+    out["knn_minmaxdist"] = out["knn_plain"]
     out["knn_mavg"] = out["knn_mindist"] = nearest(E, 11, 10, m8)
     out["knn_join"] = f"WITH {z('event_walk')}, t AS MATERIALIZED (SELECT series_id, {conv('v', m5)} AS v FROM z), d AS (SELECT a.series_id AS id_l, b.series_id AS id_r, list_distance(a.v, b.v) AS dist FROM t a JOIN t b ON a.series_id <> b.series_id), k AS (SELECT *, row_number() OVER (PARTITION BY id_l ORDER BY dist, id_r) AS rank FROM d) SELECT id_l, id_r, {r4('dist')} AS dist, CAST(rank AS INT) AS rank FROM k WHERE rank <= 3"
     out["dissimilarity_pairs"], out["dissimilarity_range"] = _dissimilarity(), _dissimilarity(" WHERE dist <= 3.0")
@@ -196,7 +205,7 @@ def catalogue() -> dict[str, str]:
     prefix = " + ".join(f"2 * (power({_dft('x', 64, str(f), 'cos')} - {_dft('q', 64, str(f), 'cos')}, 2) + power({_dft('x', 64, str(f), 'sin')} - {_dft('q', 64, str(f), 'sin')}, 2))" for f in (1, 2))
     out["false_hits"] = f"WITH {z(E)}, q AS (SELECT v AS q FROM z WHERE series_id = 3), t AS MATERIALIZED (SELECT series_id, {x} AS x, q FROM z, q), d AS (SELECT sqrt({prefix}) AS near, list_distance(x, q) AS dist FROM t) SELECT count(*) FILTER (near <= 4.0) AS candidates, count(*) FILTER (dist <= 4.0) AS answers, count(*) FILTER (near <= 4.0) - count(*) FILTER (dist <= 4.0) AS false_hits FROM d"
     out["measure_answer_sweep"] = f"WITH {z(P)}, t AS MATERIALIZED (SELECT series_id, {conv('v', m20)} AS v FROM z), d AS (SELECT list_distance(a.v, b.v) AS dist FROM t a, t b WHERE b.series_id = 3) SELECT eps, count(*) FILTER (dist <= eps) AS answers FROM d, (SELECT unnest([2.0::DOUBLE, 4.0, 6.0, 9.0, 13.0]) AS eps) GROUP BY eps"
-    for n, count in ((64, 1000), (128, 500), (128, 2000), (256, 500)):
+    for n, count in WALKS:
         sql = ranged("", 0, 0.9 * n**0.5, cte=f"{walk(n, count)}, z AS (SELECT series_id, {normal()} AS v FROM r)")
-        out[f"walk_identity_{n}_{count}"] = out[f"walk_plain_{n}_{count}"] = sql
+        out[f"walk_identity_{n}_{count}"] = out[f"walk_plain_{n}_{count}"] = out[f"walk_scan_{n}_{count}"] = sql
     return out

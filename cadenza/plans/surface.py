@@ -215,7 +215,7 @@ def oracle_sql() -> dict[str, str]:
     walk = O.R["event_walk"]
     rk = O.r4
     return {
-        "surface_asof_fill": "WITH e AS (SELECT user_id, epoch_us(ts) AS tm, event_id, value FROM events WHERE user_id < 20), g AS (SELECT user_id, slot, CAST(floor(a + slot * step) AS BIGINT) AS tm FROM (SELECT user_id, min(tm) AS a, (max(tm) - min(tm)) / 12 AS step FROM e GROUP BY 1), (SELECT unnest(range(0, 13)) AS slot)), j AS (SELECT g.user_id, slot, arg_max(value, (e.tm, event_id)) AS value FROM g JOIN e ON e.user_id = g.user_id AND e.tm <= g.tm GROUP BY 1, 2) SELECT user_id, CAST(slot AS INT) AS slot, round(value + 3e-7, 4) + 0.0::DOUBLE AS value FROM j",
+        "surface_asof_fill": "WITH e AS (SELECT user_id, epoch_us(ts) AS tm, event_id, value FROM events), g AS (SELECT user_id, slot, CAST(floor(a + slot * step) AS BIGINT) AS tm FROM (SELECT user_id, min(tm) AS a, (max(tm) - min(tm)) / 12 AS step FROM e GROUP BY 1), (SELECT unnest(range(0, 13)) AS slot)), j AS (SELECT g.user_id, slot, arg_max(value, (e.tm, event_id)) AS value FROM g JOIN e ON e.user_id = g.user_id AND e.tm <= g.tm GROUP BY 1, 2) SELECT user_id, CAST(slot AS INT) AS slot, round(value + 3e-7, 4) + 0.0::DOUBLE AS value FROM j",
         "surface_cube": f"WITH {sales} SELECT region, segment, count(*) AS n, round(sum(total), 0) AS total FROM s GROUP BY CUBE (region, segment)",
         "surface_rollup": f"WITH {sales} SELECT region, segment, count(*) AS n, round(max(total), 2) AS top FROM s GROUP BY ROLLUP (region, segment)",
         "surface_grouping_sets": f"WITH {sales} SELECT region, priority, count(*) AS n, CAST(grouping(region, priority) AS BIGINT) AS g FROM s GROUP BY GROUPING SETS ((region), (priority), ())",
@@ -224,7 +224,7 @@ def oracle_sql() -> dict[str, str]:
         "surface_topk": f"WITH {sales} SELECT series_id, round(total, 2) AS total FROM s ORDER BY 2 DESC, 1 LIMIT 15",
         "surface_setops": f"WITH {pairs} SELECT id_l, id_r, 'both' AS kind FROM (SELECT id_l, id_r FROM a INTERSECT SELECT id_l, id_r FROM b) UNION ALL SELECT id_l, id_r, 'smoothed only' FROM (SELECT id_l, id_r FROM a EXCEPT SELECT id_l, id_r FROM b) UNION ALL SELECT id_l, id_r, 'plain only' FROM (SELECT id_l, id_r FROM b EXCEPT SELECT id_l, id_r FROM a)",
         "surface_semi_anti": f"WITH {pairs} SELECT s_suppkey AS series_id, s_suppkey IN (SELECT id_l FROM a UNION SELECT id_r FROM a) AS partner FROM supplier",
-        "surface_interval_join": "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 1 HOUR WHERE x.user_id < 30",
+        "surface_interval_join": "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 1 HOUR",
         "surface_range_join": "SELECT CAST(band AS INT) AS band, count(*) AS n FROM customer, (SELECT unnest(range(0, 20)) AS band) WHERE c_acctbal >= -1000.0 + 550 * band AND c_acctbal < -1000.0 + 550 * band + 700 GROUP BY 1",
         "surface_json": "SELECT event_type, CAST(sum(CAST(json_extract_string(props, '$.k') AS INT)) AS BIGINT) AS k, CAST(count(json_extract_string(props, '$.k')) AS BIGINT) AS same FROM events GROUP BY 1",
         "surface_map": f"WITH {O.R['segment_sales']} SELECT series_id, region, CAST(2 AS INT) AS n, lower(region) || '|' || lower(segment) AS lowered FROM r",

@@ -14,6 +14,7 @@ from cadenza.functions.safety import is_safe
 from cadenza.model import SeriesRelation
 from cadenza.operators import dissimilarity, joins, kindex, measures, neighbours, range_search, spectrum
 from cadenza.sources import series as S
+from cadenza.storage import keep
 
 #: The example series of the reference.
 SMOOTHING_PAIR = (
@@ -227,9 +228,9 @@ def example_stretch(spark, sf_dir):
 
 
 def example_stepwise(spark, sf_dir):
-    """Distances of the first ten suppliers to supplier 1: raw, less the mean, normal form, normal form smoothed, and reversed and smoothed."""
+    """Distances of all other suppliers to supplier 1: raw, less the mean, normal form, normal form smoothed, and reversed and smoothed."""
     r = S.supplier_walk(spark, sf_dir)
-    few = SeriesRelation(r.df.where("series_id between 2 and 11"), r.n)
+    few = SeriesRelation(r.df.where("series_id <> 1"), r.n)
     q = np.array(r.one(1))
     z = (q - q.mean()) / q.std()
     n = spectrum.normalize(few).df.withColumn("centred", F.transform("values", lambda x: x * F.col("sd"))).join(few.df.select("series_id", F.col("values").alias("raw")), "series_id")
@@ -320,6 +321,53 @@ def join_method(name: str, m: int | None, eps: float, how):
     return run
 
 
+def join_asymmetric(spark, sf_dir):
+    """Series as they are against smoothed ones: the two orders of a pair differ."""
+    ix = index_of(spark, sf_dir, "event_walk")
+    return pair_distances(joins.self_join(ix, None, 2.6, t_right=T.moving_average(ix.n, 5)))
+
+
+def join_rect_unsafe(spark, sf_dir):
+    """A smoothing turns boxes of real and imaginary parts; boxes around these still lose no pair."""
+    ix = index_of(spark, sf_dir, "supplier_walk", space="rect")
+    return pair_distances(joins.index_nested_loop(ix, T.moving_average(ix.n, 20), 5.0))
+
+
+def wave(n: int, size: float) -> T.SpectralTransform:
+    """Adds a cosine of frequency 1."""
+    b = np.zeros(n, complex)
+    b[1] = b[n - 1] = size
+    return T.affine(np.ones(n), b)
+
+
+def join_translation_one_side(spark, sf_dir):
+    """One side smoothed and with a cosine added, the other smoothed: a translation on magnitudes and angles."""
+    ix = index_of(spark, sf_dir, "embedding_walk")
+    t = T.moving_average(ix.n, 8)
+    return pair_distances(joins.self_join(ix, wave(ix.n, 1.0) @ t, 1.6, t_right=t))
+
+
+def lemma_joins_no_dismissals(spark, sf_dir):
+    """Pairs that joins by the index miss or invent, against scans, in both spaces, for safe and other transformations: none."""
+    out = None
+    for name, m, eps in (("supplier_walk", 20, 5.0), ("embedding_walk", 8, 1.5), ("event_walk", 5, 2.0)):
+        for space in ("polar", "rect"):
+            ix = index_of(spark, sf_dir, name, space=space)
+            t = T.moving_average(ix.n, m)
+            for kind, left, right in (("both sides", t, t), ("one side", T.identity(ix.n), t), ("translation", wave(ix.n, 1.0) @ t, t)):
+                want = joins.scan_join(ix, left, eps, True, right).select("id_l", "id_r", F.lit(1).alias("wanted"))
+                got = joins.self_join(ix, left, eps, t_right=right).select("id_l", "id_r", F.lit(1).alias("found"))
+                both = want.join(got, ["id_l", "id_r"], "full").agg(F.count_if(F.col("found").isNull()).alias("missed"), F.count_if(F.col("wanted").isNull()).alias("invented"))
+                part = both.select(F.lit(name).alias("relation"), F.lit(space).alias("space"), F.lit(kind).alias("kind"), "missed", "invented")
+                out = part if out is None else out.unionByName(part)
+    return out
+
+
+def knn_minmaxdist(spark, sf_dir):
+    ix = index_of(spark, sf_dir, "embedding_walk", space="rect")
+    return distances(neighbours.search_nearest(ix, raw(spark, sf_dir, "embedding_walk", 11), None, 10, True, "minmaxdist", exclude=11))
+
+
 def join_two_relations(spark, sf_dir):
     """Even against odd ids of one relation, each indexed for itself."""
     r = S.embedding_walk(spark, sf_dir)
@@ -361,9 +409,8 @@ def dissimilarity_catalog(n: int) -> list[T.SpectralTransform]:
 
 def _asia_pairs(spark, sf_dir):
     r = S.segment_sales(spark, sf_dir).where("region = 'ASIA'")
-    few = r.where(F.col("priority") == "1-URGENT")
-    ids = few.df.select("series_id")
-    return few, ids.select(F.col("series_id").alias("id_l")).join(ids.select(F.col("series_id").alias("id_r")), F.col("id_l") < F.col("id_r"))
+    ids = keep(r.df.select("series_id"))  # one region's nations, segments and priorities: few at any size
+    return r, ids.select(F.col("series_id").alias("id_l")).join(F.broadcast(ids.select(F.col("series_id").alias("id_r"))), F.col("id_l") < F.col("id_r"))
 
 
 def dissimilarity_pairs(spark, sf_dir):
@@ -437,6 +484,15 @@ def walk_queries(n: int, count: int, with_identity: bool):
     return run
 
 
+def walk_scan(n: int, count: int):
+    """The same query by a scan that stops early, over the same walks."""
+    def run(spark, sf_dir):
+        ix = kindex.build(S.random_walk(spark, sf_dir, n, count))
+        return distances(range_search.scan_abandon(ix, S.random_walk(spark, sf_dir, n, 1).one(0), None, 0.9 * np.sqrt(n)))
+
+    return run
+
+
 def timed_methods(spark, sf_dir):
     """Seconds of the four self-join methods, and answers; not compared, as times vary."""
     ix = index_of(spark, sf_dir, "supplier_walk")

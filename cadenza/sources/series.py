@@ -49,13 +49,21 @@ def embedding_walk(spark: SparkSession, sf_dir: str) -> SeriesRelation:
     return SeriesRelation(level.df.withColumn("values", cumulated(F.col("values"))), level.n)
 
 
+def _micros(ts: str) -> Column:
+    """Microseconds of a time without zone, whatever the session's zone is."""
+    c = F.col(ts)
+    minutes = (F.datediff(c.cast("date"), F.lit("1970-01-01").cast("date")).cast("long") * 24 + F.hour(c)) * 60 + F.minute(c)
+    return minutes * 60_000_000 + (F.expr(f"extract(SECOND FROM {ts})") * 1_000_000).cast("long")
+
+
 def event_walk(spark: SparkSession, sf_dir: str, n: int = 32) -> SeriesRelation:
-    """The first n values of each user's events less 50, cumulated."""
-    nth = F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
-    rows = table(spark, sf_dir, "events").select("user_id", "ts", "event_id", "value").withColumn("pos", nth - 1).where(F.col("pos") < n)
-    long = rows.select(F.col("user_id").alias("series_id"), F.col("pos").cast("int").alias("pos"), (F.col("value") - 50).alias("value"))
-    relation = SeriesRelation.from_long(long, n)
-    return SeriesRelation(relation.df.withColumn("values", cumulated(F.col("values"))), n)
+    """Each user's whole span of time in n equal parts: the mean value of a part's events less 50 (0 without events), cumulated."""
+    rows = table(spark, sf_dir, "events").select(F.col("user_id").alias("series_id"), _micros("ts").alias("at"), "value").where("series_id is not null and at is not null and value is not null")
+    spans = rows.groupBy("series_id").agg(F.min("at").alias("first"), F.max("at").alias("last"))
+    placed = rows.join(spans, "series_id").select("series_id", F.expr(f"cast(((at - first) * {n}) div (last - first + 1) as int)").alias("pos"), "value")
+    means = placed.groupBy("series_id", "pos").agg((F.avg("value") - 50).alias("value"))
+    relation = _spread(means, n, ("series_id",))
+    return SeriesRelation(relation.select("series_id", F.lit(n).alias("n"), cumulated(F.col("values")).alias("values")), n)
 
 
 def segment_sales(spark: SparkSession, sf_dir: str, n: int = 32, days: int = 2405) -> SeriesRelation:
@@ -75,9 +83,16 @@ def segment_sales(spark: SparkSession, sf_dir: str, n: int = 32, days: int = 240
 
 
 def doc_wordlen(spark: SparkSession, sf_dir: str, n: int = 128) -> SeriesRelation:
-    """Lengths of the first n words of documents that have as many."""
-    words = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("series_id"), F.filter(F.split("text", r"[ \t\n\r]+"), lambda w: w != "").alias("words")).where(F.size("words") >= n)
-    return SeriesRelation(words.select("series_id", F.lit(n).alias("n"), F.transform(F.slice("words", 1, n), lambda w: F.length(w).cast("double")).alias("values")), n)
+    """Each document's words in n equal parts, mean word lengths: whole texts, those of fewer words than parts stretched. Documents without words have none."""
+    lengths = F.transform(F.filter(F.split("text", r"[ \t\n\r]+"), lambda w: w != ""), F.length)
+
+    def parts(ws: Column) -> Column:
+        first = lambda k: F.floor(k.cast("long") * F.size(ws) / F.lit(n)).cast("int")
+        many = lambda k: F.greatest(first(k + 1) - first(k), F.lit(1))
+        return F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda k: F.aggregate(F.slice(ws, first(k) + 1, many(k)), F.lit(0).cast("long"), lambda a, x: a + x) / many(k))
+
+    worded = table(spark, sf_dir, "documents").where(F.col("text").rlike(r"[^ \t\n\r]"))
+    return SeriesRelation(worded.select(F.col("doc_id").alias("series_id"), F.lit(n).alias("n"), let(lengths, parts).alias("values")), n)
 
 
 def random_walk(spark: SparkSession, sf_dir: str, n: int = 128, count: int = 1000) -> SeriesRelation:
