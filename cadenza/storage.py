@@ -4,12 +4,28 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def keep(df: DataFrame) -> DataFrame:
-    """df, computed once. It survives lost executors, as the folder in spark.checkpoint.dir is shared; only where none is set, as in tests, a folder of ours is used."""
-    sc = df.sparkSession.sparkContext
+def shared_folder(spark: SparkSession) -> str:
+    """The folder in spark.checkpoint.dir, which driver and executors share. Only where none is set and all run on one machine, as in tests, a folder of ours is used."""
+    sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cadenza-"))
+        known = spark.conf.get("spark.checkpoint.dir", None)
+        if known is None and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(known or tempfile.mkdtemp(prefix="cadenza-"))
+    return sc.getCheckpointDir()
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of ours wherever Spark keeps it."""
+    jvm = spark.sparkContext._jvm
+    place = jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """df, computed once. It survives lost executors, as its folder is shared."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
