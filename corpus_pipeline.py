@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cadenza.llm import decontamination, line_dedup, near_dedup, packing, toxicity
-from cadenza.llm.common import ensure_checkpoint_dir, table
+from cadenza.llm.common import table
 from cadenza.llm.queries import TOXICITY_CATEGORIES, tokenizer_path
+from cadenza.storage import remove, shared_folder
 
 #: Needs a tokenizer and learned weights; tested against brute force, stage by stage.
 ORACLE_SQL = None
@@ -50,11 +51,12 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The rows of the last stage over documents; what lies between is in the shared checkpoint folder."""
-    ensure_checkpoint_dir(spark)
-    folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
+    """The rows of the last stage over documents; what lies between is in the shared checkpoint folder until the next stage is written."""
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            remove(spark, f"{folder}/{k - 1}")
     return docs
