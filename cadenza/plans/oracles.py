@@ -99,20 +99,28 @@ def _dft(column: str, n: int, f: str, kind: str) -> str:
     return f"list_sum(list_transform(range(0, {n}), lambda t: {column}[t + 1] * {sign}{kind}(2 * pi() * {f} * t / {n}))) / sqrt({n})"
 
 
-def _dissimilarity(budget: str = "") -> str:
-    """Compositions of up to two of the three transformations on each side, in the time domain."""
+def _dissimilarity(budget: str = "", kind: str = "plain", paths: bool = False) -> str:
+    """Compositions of up to two of three transformations on each side, in the time domain; in each order, if some of them are translations."""
     m, d = mavg(5), [1.0, -1.0]
-    neg = lambda c: f"list_transform({c}, lambda x: -x)"
-    steps = {"m": (0.4, lambda c: conv(c, m)), "r": (0.7, neg), "d": (0.9, lambda c: conv(c, d))}
-    parts = ["SELECT series_id, 0.0::DOUBLE AS cost, v FROM s0"]
+    each = lambda body: lambda c: f"list_transform({c}, lambda x: {body})"
+    smooth = ("mavg5", 0.4, lambda c: conv(c, m))
+    steps = {"plain": [smooth, ("reverse", 0.7, each("-x")), ("diff", 0.9, lambda c: conv(c, d))], "moved": [smooth, ("shift(0.5)", 0.3, each("x + 0.5")), ("scale(0.5)", 0.4, each("x * 0.5"))]}[kind]
+    names = [name for name, _, _ in steps]
+    parts = ["SELECT series_id, 0.0::DOUBLE AS cost, '' AS path, v FROM s0"]
     ctes = "s0 AS MATERIALIZED (SELECT series_id, v FROM z WHERE region = 'ASIA')"
-    for a, (cost, f) in steps.items():
-        ctes += f", s{a} AS MATERIALIZED (SELECT series_id, {f('v')} AS v FROM s0)"
-        parts.append(f"SELECT series_id, {cost}::DOUBLE AS cost, v FROM s{a}")
-        for b, (more, g) in steps.items():
-            if a <= b:
-                parts.append(f"SELECT series_id, {cost + more!r}::DOUBLE AS cost, {g('v')} AS v FROM s{a}")
-    return f"WITH {z('segment_sales')}, {ctes}, t AS MATERIALIZED ({' UNION ALL '.join(parts)}), d AS (SELECT a.series_id AS id_l, b.series_id AS id_r, min(a.cost + b.cost + list_distance(a.v, b.v)) AS dist FROM t a JOIN t b ON a.series_id < b.series_id GROUP BY 1, 2) SELECT id_l, id_r, {r4('dist')} AS dist FROM d{budget}"
+    for i, (_, cost, f) in enumerate(steps):
+        ctes += f", s{i + 1} AS MATERIALIZED (SELECT series_id, {f('v')} AS v FROM s0)"
+        parts.append(f"SELECT series_id, {cost}::DOUBLE AS cost, '{names[i]}' AS path, v FROM s{i + 1}")
+        for j, (_, more, g) in enumerate(steps):
+            if kind == "moved" or i <= j:
+                both = [names[i], names[j]] if kind == "moved" else sorted([names[i], names[j]])
+                parts.append(f"SELECT series_id, {cost + more!r}::DOUBLE AS cost, '{'+'.join(both)}' AS path, {g('v')} AS v FROM s{i + 1}")
+    base = f"WITH {z('segment_sales')}, {ctes}, t AS MATERIALIZED ({' UNION ALL '.join(parts)})"
+    if not paths:
+        return f"{base}, d AS (SELECT a.series_id AS id_l, b.series_id AS id_r, min(a.cost + b.cost + list_distance(a.v, b.v)) AS dist FROM t a JOIN t b ON a.series_id < b.series_id GROUP BY 1, 2) SELECT id_l, id_r, {r4('dist')} AS dist FROM d{budget}"
+    every = "SELECT a.series_id AS id_l, b.series_id AS id_r, a.cost + b.cost AS cost, a.path AS path_l, b.path AS path_r, a.cost + b.cost + list_distance(a.v, b.v) AS dist FROM t a JOIN t b ON a.series_id < b.series_id"
+    best = "row_number() OVER (PARTITION BY id_l, id_r ORDER BY round(dist, 9), round(cost, 9), length(path_l) + length(path_r), path_l, path_r) = 1"
+    return f"{base}, d AS ({every}) SELECT id_l, id_r, {r4('dist')} AS dist, round(cost, 4) AS cost, path_l, path_r FROM d QUALIFY {best}"
 
 
 def catalogue() -> dict[str, str]:
@@ -200,6 +208,7 @@ def catalogue() -> dict[str, str]:
     out["knn_mavg"] = out["knn_mindist"] = nearest(E, 11, 10, m8)
     out["knn_join"] = f"WITH {z('event_walk')}, t AS MATERIALIZED (SELECT series_id, {conv('v', m5)} AS v FROM z), d AS (SELECT a.series_id AS id_l, b.series_id AS id_r, list_distance(a.v, b.v) AS dist FROM t a JOIN t b ON a.series_id <> b.series_id), k AS (SELECT *, row_number() OVER (PARTITION BY id_l ORDER BY dist, id_r) AS rank FROM d) SELECT id_l, id_r, {r4('dist')} AS dist, CAST(rank AS INT) AS rank FROM k WHERE rank <= 3"
     out["dissimilarity_pairs"], out["dissimilarity_range"] = _dissimilarity(), _dissimilarity(" WHERE dist <= 3.0")
+    out["dissimilarity_paths"], out["dissimilarity_translations"] = _dissimilarity(paths=True), _dissimilarity(kind="moved")
     out["lemma_no_dismissals"] = values([(n, s, k, 0) for n in ("supplier_walk", "embedding_walk", "event_walk") for k in (1, 3) for s in ("polar", "rect")], ["relation", "space", "k", "missed"]).replace("SELECT *", "SELECT relation, space, CAST(k AS INT) AS k, CAST(missed AS BIGINT) AS missed")
     x = conv("v", m8)
     prefix = " + ".join(f"2 * (power({_dft('x', 64, str(f), 'cos')} - {_dft('q', 64, str(f), 'cos')}, 2) + power({_dft('x', 64, str(f), 'sin')} - {_dft('q', 64, str(f), 'sin')}, 2))" for f in (1, 2))

@@ -407,6 +407,10 @@ def dissimilarity_catalog(n: int) -> list[T.SpectralTransform]:
     return [T.moving_average(n, 5).with_cost(0.4), T.reverse(n).with_cost(0.7), T.difference(n).with_cost(0.9)]
 
 
+def moving_catalog(n: int) -> list[T.SpectralTransform]:
+    return [T.moving_average(n, 5).with_cost(0.4), T.shift(n, 0.5).with_cost(0.3), T.scale(n, 0.5).with_cost(0.4)]
+
+
 def _asia_pairs(spark, sf_dir):
     r = S.segment_sales(spark, sf_dir).where("region = 'ASIA'")
     ids = keep(r.df.select("series_id"))  # one region's nations, segments and priorities: few at any size
@@ -419,6 +423,20 @@ def dissimilarity_pairs(spark, sf_dir):
     return found.select("id_l", "id_r", r4(F.col("dist")).alias("dist"))
 
 
+def dissimilarity_paths(spark, sf_dir):
+    """The least distances with what was done to either side, and its cost."""
+    r, pairs = _asia_pairs(spark, sf_dir)
+    found = dissimilarity.bounded(r, pairs, dissimilarity_catalog(r.n), max_depth=2)
+    return found.select("id_l", "id_r", r4(F.col("dist")).alias("dist"), F.round("cost", 4).alias("cost"), "path_l", "path_r")
+
+
+def dissimilarity_translations(spark, sf_dir):
+    """Shifts, scales and a smoothing, in each order."""
+    r, pairs = _asia_pairs(spark, sf_dir)
+    found = dissimilarity.bounded(r, pairs, moving_catalog(r.n), max_depth=2)
+    return found.select("id_l", "id_r", r4(F.col("dist")).alias("dist"))
+
+
 def dissimilarity_range(spark, sf_dir):
     r, pairs = _asia_pairs(spark, sf_dir)
     found = dissimilarity.within_range(r, pairs, dissimilarity_catalog(r.n), 3.0, max_depth=2)

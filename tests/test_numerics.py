@@ -158,8 +158,25 @@ def test_dissimilarity_equals_enumeration(spark):
     pairs = ids.select(F.col("series_id").alias("id_l")).crossJoin(ids.select(F.col("series_id").alias("id_r"))).where("id_l < id_r")
     for x in dissimilarity.bounded(r, pairs, catalog).collect():
         assert abs(x.dist - dissimilarity.exhaustive_np(norm(v[x.id_l]), norm(v[x.id_r]), catalog, 2)) < 1e-9
-    with pytest.raises(ValueError):
-        dissimilarity.closure([T.shift(16, 1.0)], 1.0, 2)
+
+
+def test_dissimilarity_with_translations_tries_each_order(spark):
+    r, v = walks(spark, n=16, count=6)
+    catalog = [T.shift(16, 4.0).with_cost(0.3), T.scale(16, 0.5).with_cost(0.5), T.moving_average(16, 3).with_cost(0.4)]
+    assert {t.name for t in dissimilarity.closure(catalog[:2], 1.0, 2)} == {"identity", "shift(4)", "scale(0.5)", "shift(4)+shift(4)", "shift(4)+scale(0.5)", "scale(0.5)+shift(4)", "scale(0.5)+scale(0.5)"}
+    assert len(dissimilarity.closure(catalog[:2], 0.7, 2)) == 4
+    ids = r.df.select("series_id")
+    pairs = ids.select(F.col("series_id").alias("id_l")).crossJoin(ids.select(F.col("series_id").alias("id_r"))).where("id_l < id_r")
+    for normal in (True, False):
+        form = norm if normal else np.array
+        found = dissimilarity.bounded(r, pairs, catalog, normal=normal).collect()
+        assert len(found) == 15
+        for x in found:
+            assert abs(x.dist - dissimilarity.exhaustive_np(form(v[x.id_l]), form(v[x.id_r]), catalog, 2)) < 1e-9
+    # with a ratio no more is spent than that part of the plain distance
+    plain = {(i, j): float(np.linalg.norm(np.array(v[i]) - np.array(v[j]))) for i in range(6) for j in range(6)}
+    limited = dissimilarity.bounded(r, pairs, catalog, normal=False, ratio=0.01).collect()
+    assert all(x.cost <= 0.01 * plain[x.id_l, x.id_r] + 1e-9 for x in limited) and len(limited) == 15
 
 
 def test_odd_lengths_constants_gaps_and_empty_relations(spark):
