@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
+from functools import wraps
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from cadenza.storage import keep
@@ -23,8 +28,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def numbered(df: DataFrame, *cols: str) -> tuple[DataFrame, list[str]]:
+    """df with its columns named c0, c1, ..., so no name of its own clashes with those used beside them; and the new names of some of them."""
+    names = df.columns
+    return df.toDF(*(f"c{i}" for i in range(len(names)))), [f"c{names.index(c)}" for c in cols]
+
+
 #: Bytes of an Arrow batch that goes to a Python worker, about.
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 _BATCH_SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
@@ -37,6 +48,24 @@ def in_small_batches(df: DataFrame) -> DataFrame:
     return df
 
 
+def tidy(run):
+    """run, a function over batches, that gives memory it has no more use for back to the system when its task ends: workers are used again, by other operators too."""
+
+    @wraps(run)
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # no such function in this system's library
+                pass
+
+    return tidied
+
+
 def cut(df: DataFrame) -> DataFrame:
     """df, computed once and kept in the shared checkpoint folder, so lost executors don't lose it."""
     return keep(df)

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut
+from cadenza.llm.common import cut, numbered
 
 #: A line of so many words is a unit of its own.
 LONG_LINE_WORDS = 40
@@ -74,14 +74,16 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return cut(later.groupBy("id", "key").agg(_merged(F.array_sort(F.collect_set(F.struct("s", "e")))).alias("spans")))
 
 
-def drop_repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def drop_repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_line: int = LONG_LINE_WORDS, broadcast_rows: int = BROADCAST_ROWS, part_rows: int = PART_ROWS) -> DataFrame:
     """docs with all their columns, the text without repeated passages, then __n_lines and __n_removed.
 
     Of a repeated unit the occurrence with the smallest (id, md5 of the text, line) stays, nulls first.
     Rows that agree in id and text are one document and keep the same text. A null text stays null and
     has no lines; an empty one has one line. An empty table gives no rows; other columns pass unchanged.
     """
-    spans = repeated_spans(docs, id_col, text_col, long_line, broadcast_rows).select(F.col("id").alias("__id"), F.col("key").alias("__key"), F.col("spans").alias("__spans"))
+    names = docs.columns
+    docs, (id_col, text_col) = numbered(docs, id_col, text_col)
+    spans = repeated_spans(docs, id_col, text_col, long_line, broadcast_rows, part_rows).select(F.col("id").alias("__id"), F.col("key").alias("__key"), F.col("spans").alias("__spans"))
     spans = F.broadcast(spans) if spans.limit(broadcast_rows + 1).count() <= broadcast_rows else spans
     joined = docs.join(spans, docs[id_col].eqNullSafe(F.col("__id")) & (F.unhex(F.md5(docs[text_col])) == F.col("__key")), "left")
     lines = F.split(text_col, "\n", -1)
@@ -90,4 +92,4 @@ def drop_repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     joined = joined.withColumn("__kept", F.when(F.col("__spans").isNotNull(), kept))
     removed = F.when(F.col("__kept").isNull(), F.lit(0)).otherwise(F.col("__n_lines") - F.size("__kept")).cast("long")
     text = F.when(F.col("__kept").isNull(), F.col(text_col)).otherwise(F.array_join("__kept", "\n"))
-    return joined.select(*(text.alias(c) if c == text_col else F.col(c) for c in docs.columns), "__n_lines", removed.alias("__n_removed"))
+    return joined.select(*((text if c == text_col else F.col(c)).alias(name) for c, name in zip(docs.columns, names)), "__n_lines", removed.alias("__n_removed"))

@@ -125,5 +125,43 @@ SELECT d.doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(
 """
 
 
+def _matches(source: str, text: str, pattern: str, more: str) -> str:
+    """Rows of source with each match of a pattern in a column: value and start (code points), from the gaps between matches."""
+    base = f"(SELECT {more}, regexp_extract_all({text}, '{pattern}') AS vs, string_split_regex({text}, '{pattern}') AS gs FROM {source})"
+    start = "list_sum(list_transform(list_slice(gs, 1, i), lambda x: length(x))) + coalesce(list_sum(list_transform(list_slice(vs, 1, i - 1), lambda x: length(x))), 0)"
+    names = ", ".join(x.split(" AS ")[-1] for x in more.split(", "))
+    return f"SELECT {names}, vs[i] AS value, CAST({start} AS BIGINT) AS start FROM (SELECT *, unnest(range(1, len(vs) + 1)) AS i FROM {base} WHERE len(vs) > 0)"
+
+
+def _personal_sql() -> str:
+    """By definition: patterns as they are stated, all words near each value, and the information of all pairs from plain counts of texts."""
+    stated = [r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"[0-9]([\x20-]?[0-9])+", r"\+[0-9][\x20().0-9-]+[0-9]", r"[A-Za-z0-9]{32,}"]
+    digits = "regexp_replace(value, '[^0-9]', '', 'g')"
+    small = "len(list_filter(string_split(value, '.'), lambda x: length(ltrim(x, '0')) > 3 OR coalesce(TRY_CAST(x AS HUGEINT), 0) > 255)) = 0"
+    luhn = "list_sum(list_transform(range(1, length(g) + 1), lambda j: CAST(g[length(g) + 1 - j] AS INT) * (1 + (j - 1) % 2) - CASE WHEN CAST(g[length(g) + 1 - j] AS INT) * (1 + (j - 1) % 2) > 9 THEN 9 ELSE 0 END)) % 10 = 0"
+    sound = ["true", small, f"length(g) BETWEEN 14 AND 19 AND {luhn}", "length(g) BETWEEN 10 AND 15", "regexp_matches(value, '[0-9]') AND regexp_matches(value, '[A-Za-z]')"]
+    found = " UNION ALL ".join(f"SELECT * FROM (SELECT *, {r} AS rank, {digits} AS g FROM ({_matches('d', 'text', x, 'doc_id, key, text')})) WHERE {ok}" for r, (x, ok) in enumerate(zip(stated, sound)))
+    sides = "SELECT doc_id, key, rank, value AS named, greatest(start - 81, 0) AS origin, substring(text, greatest(start - 81, 0) + 1, start - greatest(start - 81, 0)) AS side, CASE WHEN start - 81 <= 0 THEN 0 ELSE 1 END AS low, 81 AS high FROM p UNION ALL SELECT doc_id, key, rank, value, stop, substring(text, stop + 1, 81), 0, 80 FROM p"
+    words = _matches("sides", "side", r"\p{L}{3,}", "doc_id, key, rank, named, origin, low, high")
+    told = "log2(n_both * CAST(total AS DOUBLE) / (of_term * of_entity)) / greatest(log2(CAST(total AS DOUBLE) / of_entity), 1e-9)"
+    kinds = "['email', 'ip', 'card', 'phone', 'secret', 'term']"
+    counts = ", ".join(f"count(*) FILTER (rank = {r}) AS n_{k}" for r, k in enumerate(pii.KINDS))
+    return rf"""
+WITH d AS MATERIALIZED (SELECT doc_id, md5(text) AS key, text FROM documents WHERE text IS NOT NULL),
+p AS MATERIALIZED (SELECT doc_id, key, text, rank, value, start, start + length(value) AS stop FROM ({found})),
+sides AS ({sides}), w AS ({words}),
+near AS MATERIALIZED (SELECT doc_id, key, unnest([rank || ':', rank || ':' || named]) AS entity, lower(value) AS term, origin + start AS start, origin + start + length(value) AS stop FROM w WHERE start >= low AND start + length(value) <= high),
+m AS (SELECT DISTINCT entity, term, key FROM near), n AS (SELECT count(DISTINCT key) AS total FROM d),
+e AS (SELECT entity, count(DISTINCT key) AS of_entity FROM m GROUP BY 1), b AS (SELECT entity, term, count(*) AS n_both FROM m GROUP BY 1, 2 HAVING count(*) >= 3),
+v AS (SELECT term, count(*) AS of_term FROM (SELECT DISTINCT key, unnest(regexp_extract_all(lower(text), '\p{{L}}{{3,}}')) AS term FROM d) GROUP BY 1),
+k AS (SELECT entity, term FROM b JOIN e USING (entity) JOIN v USING (term), n WHERE {told} >= 0.8),
+t AS (SELECT DISTINCT doc_id, start, stop FROM near JOIN k USING (entity, term)),
+a AS (SELECT doc_id, start, stop, rank FROM p UNION ALL SELECT doc_id, start, stop, 5 FROM t WHERE NOT EXISTS (SELECT 1 FROM p WHERE p.doc_id = t.doc_id AND p.start < t.stop AND t.start < p.stop)),
+s AS (SELECT *, {kinds}[rank + 1] || ':' || start || ':' || stop AS said FROM a),
+g AS (SELECT doc_id, {counts}, string_agg(said, ',' ORDER BY start, rank, stop) FILTER (rank < 4) AS base, string_agg(said, ',' ORDER BY start, rank, stop) AS spans FROM s GROUP BY 1)
+SELECT d0.doc_id, {", ".join(f"coalesce(n_{k}, 0) AS n_{k}" for k in pii.KINDS)}, sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans, spans IS NOT NULL AS personal FROM documents d0 LEFT JOIN g ON g.doc_id = d0.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op8_line_dedup": LINE_DEDUP_SQL, "op2_decontamination": DECONTAMINATION_SQL}
+    return {"op4_personal_data": _personal_sql(), "op8_line_dedup": LINE_DEDUP_SQL, "op2_decontamination": DECONTAMINATION_SQL}

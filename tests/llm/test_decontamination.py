@@ -48,3 +48,12 @@ def test_both_ways_equal_brute_force(spark):
 def test_both_ways_agree_on_the_tables(spark, sf_small):
     docs, items = table(spark, sf_small, "documents"), table(spark, sf_small, "benchmark")
     assert rows(decontamination.decontaminate(docs, items)) == rows(decontamination.decontaminate(docs, items, broadcast_words=0))
+
+
+def test_a_very_long_text_both_ways(spark):
+    items = spark.createDataFrame([(1, "needle in the hay of ten words or a few more"), (2, None), (None, "no id")], "item_id long, text string")
+    long = "filler words without end " * 100_000 + "needle in the hay of ten words or a few more " + "and on " * 50_000
+    docs = spark.createDataFrame([(1, long, "x"), (2, "needle in the hay", "x"), (None, None, None)], "doc_id long, text string, n_hit string")
+    for bound in (10**6, 0):
+        got = {r.doc_id: (r.n_hit, r.contaminated) for r in decontamination.decontaminate(docs, items, broadcast_words=bound).collect()}
+        assert got == {1: (11, True), 2: (0, False), None: (0, False)}

@@ -4,8 +4,9 @@ from collections import Counter
 import numpy as np
 from pyspark.sql import functions as F
 
-from cadenza.llm import language, quality, queries
+from cadenza.llm import language, linear, quality, queries
 from cadenza.llm.common import table
+from cadenza.llm.words import word_list
 
 
 def test_held_out_languages(spark, sf):
@@ -146,3 +147,35 @@ def test_quality_edges(spark, sf_small):
     assert all(r.quality == 0 == r.weak_label for r in got if r.doc_id in (1, 2, 3))
     assert quality.score(df.limit(0), scorer).count() == 0
     assert quality.score(df, quality.train(df.limit(0))).count() == 6
+
+
+def test_quality_query_equals_brute_force(spark, sf_small):
+    """Text by text, from the label model's rates and the scorer's weights."""
+    docs = table(spark, sf_small, "documents")
+    scorer = quality.train(docs)
+    known = linear.Chosen(scorer.buckets)
+    rows = docs.collect()
+    texts = {r.doc_id: (r.text or "").encode() for r in rows}
+    # the label model: maximum likelihood over all worded texts, from counted patterns
+    worded = [t for t in texts.values() if word_list(t)]
+    patterns = Counter(tuple(quality.votes(quality.measures(t))) for t in worded)
+    again = quality.expectation_maximisation(np.array(sorted(patterns)), np.array([float(patterns[p]) for p in sorted(patterns)]))
+    assert np.isclose(again.prior, scorer.labels.prior, atol=1e-6) and np.allclose(again.on_good, scorer.labels.on_good, atol=1e-5)
+    for r in quality.score(docs, scorer).collect():
+        t = texts[r.doc_id]
+        if not word_list(t):
+            assert (r.weak_label, r.quality, r.good) == (0.0, 0.0, False)
+            continue
+        style = quality.measures(t)
+        odds = np.log(scorer.labels.prior / (1 - scorer.labels.prior)) + sum(np.log(g[v] / b[v]) for g, b, v in zip(scorer.labels.on_good, scorer.labels.on_bad, quality.votes(style)))
+        assert np.isclose(r.weak_label, 1 / (1 + np.exp(-np.clip(odds, -50, 50))))
+        z = scorer.model.bias + sum(scorer.model.sparse[i] for i in known.row(t)) + sum(scorer.model.sparse[i] for i in quality.style_features(style, len(scorer.buckets)))
+        assert np.isclose(r.quality, 1 / (1 + np.exp(-np.clip(z, -30, 30)))) and r.good == (r.quality >= 0.5)
+
+
+def test_quality_of_long_texts_repeats_and_no_rows(spark):
+    rows = [(1, "word " * 300_000, "x"), (1, "word " * 300_000, "x"), (None, "a b c", "x"), (2, None, None), (3, "", "x")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, quality string")
+    got = quality.score(docs, quality.train(docs)).collect()
+    assert len(got) == 5 and len({r.quality for r in got if r.doc_id == 1}) == 1
+    assert quality.score(docs.limit(0), quality.train(docs.limit(0))).count() == 0
