@@ -142,8 +142,8 @@ def build(r: SeriesRelation, k: int = 2, space: str = "polar", normal: bool = Tr
     return replace(index, features=features, spectra=full, nodes=keep(nodes), levels=levels, leaves=leaves)
 
 
-def view(index: KIndex, t: SpectralTransform) -> DataFrame:
-    """The tree after t, lazily: a projection over nodes. Polar angles may pass the seam; they are arcs from lo on.
+def view(index: KIndex, t: SpectralTransform, materialize: bool = False) -> DataFrame:
+    """The tree after t, lazily: a projection over nodes; materialize: computed once and kept. Polar angles may pass the seam; they are arcs from lo on.
 
     A safe t maps boxes to boxes. Otherwise these are the least boxes in this space that surely hold the mapped ones, so
     what is searched with them loses nothing: a complex multiplier turns a rectangle, a translation
@@ -170,7 +170,7 @@ def view(index: KIndex, t: SpectralTransform) -> DataFrame:
         else:
             low, high = F.col(f"lo_x{f}") * a.real + b.real, F.col(f"hi_x{f}") * a.real + b.real
             out = out.withColumns({f"lo_x{f}": F.least(low, high), f"hi_x{f}": F.greatest(low, high)})
-    return out
+    return keep(out) if materialize else out
 
 
 def boxes(index: KIndex, nodes: DataFrame, level: int, side: str = "") -> DataFrame:

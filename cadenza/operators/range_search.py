@@ -101,15 +101,18 @@ def scan_abandon(index: KIndex, q, t: SpectralTransform | None, eps: float, tran
     return index.spectra.where(near).select("series_id", distance.alias("dist"))
 
 
-def scan_time(r: SeriesRelation, q, weights: list[float] | None, eps: float, normal: bool = True, transform_query: bool = False) -> DataFrame:
-    """All series, filtered and compared in the time domain."""
+def scan_time(r: SeriesRelation, q, weights: list[float] | None, eps: float, normal: bool = True, transform_query: bool = False, staged: int = 0) -> DataFrame:
+    """All series, filtered and compared in the time domain; staged: given up if so many first values take it over eps."""
     base = spectrum.normalize(r) if normal else r
     q = np.asarray(q, float)
     target = (q - q.mean()) / q.std() if normal else q
     if transform_query and weights:
         target = sum(w * np.roll(target, j) for j, w in enumerate(weights))
     filtered = A.circular(F.col("values"), A.literal(weights)) if weights else F.col("values")
-    return base.df.select("series_id", A.euclid(filtered, A.literal(target)).alias("dist")).where(F.col("dist") <= eps)
+    whole = lambda x: A.euclid(x, A.literal(target))
+    first = lambda x: A.euclid(F.slice(x, 1, staged), A.literal(target[:staged]))
+    distance = A.let(filtered, lambda x: F.when(first(x) <= eps + SLACK, whole(x))) if staged else whole(filtered)
+    return base.df.select("series_id", distance.alias("dist")).where(F.col("dist") <= eps)
 
 
 def explain(index: KIndex, q, t: SpectralTransform | None, eps: float, transform_query: bool = False) -> str:

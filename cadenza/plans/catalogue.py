@@ -25,7 +25,7 @@ def queries() -> dict[str, Query]:
     plain = [
         W.normal_form, W.normal_form_restore, W.rejected_series, W.dft_features, W.dft_spectrum, W.idft_roundtrip, W.energy_parseval, W.energy_concentration, W.circular_convolution, W.linearity_gap, W.mavg_standard, W.mavg_gap, W.mavg_repeated,
         W.affine_spectrum, W.safety_verdicts, W.safety_counterexample, W.index_nodes_cover, W.example_smoothing, W.example_stretch, W.example_stepwise, W.example_repeated_smoothing, W.range_single, W.range_shape, W.range_stretch, W.range_mean_sd,
-        W.range_subset, W.range_real_vectors, W.join_two_relations, W.join_asymmetric, W.join_rect_unsafe, W.join_translation_one_side, W.lemma_joins_no_dismissals, W.knn_minmaxdist, W.join_regions, W.knn_join, W.dissimilarity_pairs, W.dissimilarity_range, W.dissimilarity_paths, W.dissimilarity_translations, W.lemma_no_dismissals, W.false_hits, W.measure_nodes, W.measure_coefficients, W.measure_answer_sweep, W.measure_index_quality, W.timed_methods,
+        W.range_subset, W.range_real_vectors, W.join_two_relations, W.join_asymmetric, W.join_rect_unsafe, W.join_translation_one_side, W.lemma_joins_no_dismissals, W.knn_minmaxdist, W.join_regions, W.knn_join, W.dissimilarity_pairs, W.dissimilarity_range, W.dissimilarity_paths, W.dissimilarity_translations, W.lemma_no_dismissals, W.false_hits, W.measure_nodes, W.measure_nodes_equal, W.measure_coefficients, W.measure_answer_sweep, W.measure_index_quality, W.timed_methods,
     ]
     out |= {f.__name__: f for f in plain}
     out |= {
@@ -56,6 +56,7 @@ def queries() -> dict[str, Query]:
         "scan_naive": W.scan(P, 3, 8.0, range_search.scan_naive, 20),
         "scan_abandon": W.scan(P, 3, 8.0, range_search.scan_abandon, 20),
         "scan_time": W.scan_time(P, 3, 8.0, 20),
+        "scan_time_abandon": W.scan_time(P, 3, 8.0, 20, staged=32),
         "scan_plain_distance": W.scan_time(E, 3, 2.0, None, normal=False),
         "scan_normal_form": W.scan_time(E, 3, 6.0, None),
         "join_a_full": W.join_method(P, 20, 5.0, lambda ix, t, e: joins.scan_join(ix, t, e, False)),

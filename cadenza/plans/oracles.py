@@ -174,7 +174,7 @@ def catalogue() -> dict[str, str]:
     out["range_single"] = ranged(E, 3, 100, m8, where=" AND series_id = 7")
     out["range_plain"] = out["range_identity"] = ranged(E, 3, 6.0)
     out["range_mavg"] = ranged(E, 3, 6.0, m8)
-    out["range_mavg_twosided"] = out["scan_naive"] = out["scan_abandon"] = out["scan_time"] = out["range_auto"] = out["range_rect_unsafe"] = ranged(P, 3, 8.0, m20, True)
+    out["range_mavg_twosided"] = out["scan_naive"] = out["scan_abandon"] = out["scan_time"] = out["scan_time_abandon"] = out["range_auto"] = out["range_rect_unsafe"] = ranged(P, 3, 8.0, m20, True)
     out["range_reverse"] = ranged(E, 3, 6.0, data="list_transform(v, lambda x: -x)")
     out["range_trend"] = ranged(E, 3, 6.0, trend_weights(8))
     out["range_rect_scale"] = ranged("supplier_level", 3, 874, use_normal=False, data="list_transform(v, lambda x: x * 0.9)")
@@ -198,6 +198,7 @@ def catalogue() -> dict[str, str]:
     wave = f"list_transform(range(1, 65), lambda i: {conv('v', m8)}[i] + 0.25 * cos(2 * pi() * (i - 1) / 64))"
     out["join_translation_one_side"] = one_sided(E, wave, conv("v", m8), 1.6)
     out["join_rect_unsafe"] = joined(P, 5, m20, True)
+    out["measure_nodes_equal"] = values([(n, True) for n in ("supplier_walk", "embedding_walk", "event_walk")], ["relation", "equal"])
     out["lemma_joins_no_dismissals"] = values([(n, s, k, 0, 0) for n in ("supplier_walk", "embedding_walk", "event_walk") for s in ("polar", "rect") for k in ("both sides", "one side", "translation")], ["relation", "space", "kind", "missed", "invented"]).replace("SELECT *", "SELECT relation, space, kind, CAST(missed AS BIGINT) AS missed, CAST(invented AS BIGINT) AS invented")
     out["join_two_relations"] = joined(E, 1.4, m8, halves=True)
     out["join_reverse"] = joined(P, 3.3, m20, negative=True)

@@ -23,13 +23,17 @@ SMOOTHING_PAIR = (
 )
 STRETCH_PAIR = ([20, 20, 21, 21, 20, 20, 23, 23], [20, 21, 20, 23])
 
+#: Indexes that a session holds on to.
+INDEXES_KEPT = 16
 _INDEXES: dict[tuple, kindex.KIndex] = {}
 
 
 def index_of(spark: SparkSession, sf_dir: str, name: str, **options) -> kindex.KIndex:
-    """The index over a relation, built once in a session."""
+    """The index over a relation; some of those built last are used again."""
     key = (spark.sparkContext.applicationId, sf_dir, name, *sorted(options.items()))
     if key not in _INDEXES:
+        while len(_INDEXES) >= INDEXES_KEPT:
+            _INDEXES.pop(next(iter(_INDEXES)))
         _INDEXES[key] = kindex.build(S.RELATIONS[name](spark, sf_dir), **{"leaf_rows": 64, **options})
     return _INDEXES[key]
 
@@ -197,7 +201,8 @@ def safety_counterexample(spark, sf_dir):
     """Corners and an inner point times 2 - 3i: the inner one leaves the box of the corners."""
     rows = [("low corner", -5.0, -5.0), ("high corner", 5.0, 5.0), ("inner", -2.0, 2.0)]
     df = spark.createDataFrame(rows, "point string, re double, im double")
-    moved = df.select("point", (F.col("re") * 2 + F.col("im") * 3).alias("re"), (F.col("im") * 2 - F.col("re") * 3).alias("im"))
+    re, im = A.times(F.array("re"), F.array("im"), np.array([2 - 3j]))
+    moved = df.select("point", F.get(re, 0).alias("re"), F.get(im, 0).alias("im"))
     box = moved.where("point <> 'inner'").agg(F.min("re").alias("a"), F.max("re").alias("b"), F.min("im").alias("c"), F.max("im").alias("d"))
     return moved.join(F.broadcast(box)).select("point", "re", "im", (F.col("re").between(F.col("a"), F.col("b")) & F.col("im").between(F.col("c"), F.col("d"))).alias("inside"))
 
@@ -305,10 +310,10 @@ def scan(name: str, qid: int, eps: float, how, m: int):
     return run
 
 
-def scan_time(name: str, qid: int, eps: float, m: int | None, normal: bool = True):
+def scan_time(name: str, qid: int, eps: float, m: int | None, normal: bool = True, staged: int = 0):
     def run(spark, sf_dir):
         r = S.RELATIONS[name](spark, sf_dir)
-        return distances(range_search.scan_time(r, r.one(qid), [1.0 / m] * m if m else None, eps, normal, transform_query=True))
+        return distances(range_search.scan_time(r, r.one(qid), [1.0 / m] * m if m else None, eps, normal, transform_query=True, staged=staged))
 
     return run
 
@@ -471,6 +476,18 @@ def measure_nodes(spark, sf_dir):
     return measures.nodes_reached(ix, q, None, 5.0).withColumn("kind", F.lit("none")).unionByName(measures.nodes_reached(ix, q, T.identity(ix.n), 5.0).withColumn("kind", F.lit("identity")))
 
 
+def measure_nodes_equal(spark, sf_dir):
+    """Whether the identity reaches the very nodes, level by level, that a search without a transformation does, and over how many relations."""
+    out = None
+    for name, eps in (("supplier_walk", 5.0), ("embedding_walk", 4.0), ("event_walk", 3.0)):
+        ix = index_of(spark, sf_dir, name, leaf_rows=8)
+        q = raw(spark, sf_dir, name, 3)
+        none, same = (measures.nodes_reached(ix, q, t, eps).select("level", F.col("reached").alias(k)) for t, k in ((None, "n"), (T.identity(ix.n), "i")))
+        part = none.join(same, "level", "full").agg(F.min(F.col("n").eqNullSafe(F.col("i"))).alias("equal")).select(F.lit(name).alias("relation"), "equal")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def measure_coefficients(spark, sf_dir):
     ix = index_of(spark, sf_dir, "supplier_walk")
     return measures.coefficients_examined(ix, raw(spark, sf_dir, "supplier_walk", 3), T.moving_average(ix.n, 20), 5.0)
