@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import LOWER, UPPER, WORD_PATTERN, cut, in_small_batches
+from cadenza.llm.common import LOWER, UPPER, WORD_PATTERN, cut, in_small_batches, tidy
 from cadenza.llm.words import word_list
 
 WINDOW_WORDS = 10
@@ -55,7 +55,7 @@ def document_frequencies(docs: DataFrame, vocabulary: DataFrame | set[bytes], te
         if counts:
             yield pa.RecordBatch.from_arrays([pa.array([w.decode() for w in counts], pa.string()), pa.array(counts.values(), pa.int64())], ["word", "n"])
 
-    return in_small_batches(docs.select(text_col)).mapInArrow(run, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+    return in_small_batches(docs.select(text_col)).mapInArrow(tidy(run), "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
 
 
 def _index(windows: list[tuple[list[bytes], list[str]]], frequency: dict[bytes, int]) -> dict[bytes, list[tuple]]:
@@ -99,7 +99,7 @@ def local_hits(docs: DataFrame, windows: DataFrame, id_col: str, text_col: str)
                 found.append(find(words, by_word))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n_words, pa.int64()), pa.array([n for n, _ in found], pa.int64()), pa.array([x for _, x in found], pa.list_(pa.string()))], ["id", "n_words", "n_hit", "items"])
 
-    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, n_words bigint, n_hit bigint, items array<string>")
+    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(tidy(run), f"id {dict(docs.dtypes)[id_col]}, n_words bigint, n_hit bigint, items array<string>")
 
 
 def joined_hits(docs: DataFrame, windows: DataFrame, id_col: str, text_col: str) -> DataFrame:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import in_small_batches
+from cadenza.llm.common import in_small_batches, tidy
 from cadenza.llm.words import mix
 
 #: Hashed n-grams, the most languages that are learned, and words a worker remembers.
@@ -242,7 +242,7 @@ def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", bucke
         yield from out()
 
     counts = np.zeros((len(languages), width))
-    for r in in_small_batches(docs).mapInArrow(run, "lang int, bucket int, n double").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toLocalIterator():
+    for r in in_small_batches(docs).mapInArrow(tidy(run), "lang int, bucket int, n double").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toLocalIterator():
         counts[r.lang, r.bucket] = r.n
     shares = counts[:, :buckets] + 0.5
     scripts = counts[:, buckets:]
@@ -296,4 +296,4 @@ def identify(docs: DataFrame, model: Model, penalty: float = SWITCH_PENALTY, wit
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x for x, _, _ in found], pa.string()), pa.array([x for _, x, _ in found], pa.float64()), pa.array([x for _, _, x in found], span_type)], ["id", "lang_pred", "score", "spans"])
 
     kind = dict(docs.dtypes)[id_col]
-    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(run, f"id {kind}, lang_pred string, score double, spans array<struct<start:bigint,end:bigint,lang:string>>").withColumnRenamed("id", id_col)
+    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(tidy(run), f"id {kind}, lang_pred string, score double, spans array<struct<start:bigint,end:bigint,lang:string>>").withColumnRenamed("id", id_col)

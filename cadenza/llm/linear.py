@@ -12,13 +12,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut, in_small_batches
+from cadenza.llm.common import cut, in_small_batches, tidy
 from cadenza.llm.words import word_list
 
 #: Hashed features, of which some are chosen.
 BUCKETS = 1 << 18
 #: Words whose features a worker remembers.
-REMEMBERED = 200_000
+REMEMBERED = 100_000
 
 
 class WordFeatures(dict):
@@ -182,7 +182,7 @@ def choose_by_fold(docs: DataFrame, targets: list[str], text_col: str, keep: int
 
     names = ["bucket", *(f"c{f}_{j}" for f in range(folds) for j in range(2 * k))]
     fold = F.col(fold_col).cast("int") if fold_col else F.lit(0)
-    counted = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), fold.alias("__fold"))).mapInArrow(run, ", ".join(["bucket bigint", *(f"{c} double" for c in names[1:])]))
+    counted = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), fold.alias("__fold"))).mapInArrow(tidy(run), ", ".join(["bucket bigint", *(f"{c} double" for c in names[1:])]))
     table = cut(counted.groupBy("bucket").agg(*(F.sum(c).alias(c) for c in names[1:])))
     totals = table.where("bucket = -1").first()
     out = []
@@ -211,6 +211,6 @@ def sampled_rows(docs: DataFrame, buckets: np.ndarray, targets: list[str], text_
                 rows = [np.concatenate([r, len(buckets) + np.array(x.as_py(), np.int64)]) for r, x in zip(rows, batch.column(len(targets) + 1))]
             yield pa.RecordBatch.from_arrays([pa.array(rows, pa.list_(pa.int32())), *batch.columns[1 : len(targets) + 1]], ["features", *targets])
 
-    found = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), *([extra] if extra else []))).mapInArrow(run, ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
+    found = in_small_batches(docs.select(text_col, *(F.col(t).cast("double") for t in targets), *([extra] if extra else []))).mapInArrow(tidy(run), ", ".join(["features array<int>", *(f"`{t}` double" for t in targets)])).collect()
     found.sort(key=lambda r: (list(map(int, r.features)), [r[t] for t in targets]))  # in whatever order they came, one model
     return [np.array(r.features, np.int64) for r in found], np.array([[r[t] for t in targets] for r in found]).reshape(len(found), len(targets))

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut, in_small_batches
+from cadenza.llm.common import cut, in_small_batches, numbered, tidy
 from cadenza.llm.components import components
 from cadenza.llm.words import SHINGLE_WORDS, mix, shingle_units, weighted_jaccard, word_list
 
@@ -105,7 +105,7 @@ def _sign(bands: int, rows: int, shingle: int):
                     at.append(i)
                     units.append(u)
                     held += max(len(u), 500)
-                if held > 200_000:
+                if held > 100_000:
                     yield out()
                     at, units, held = [], [], 0
             if at:
@@ -194,7 +194,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     rows = docs.select(F.col(id_col).alias("id"), F.unhex(F.md5(text_col)).alias("node"), F.col(text_col).alias("text"))
     texts = rows.select("node", "text").where(F.col("text").isNotNull())
     # copies are signed where they lie, once for each; one row of each content goes on
-    signed = in_small_batches(texts).mapInArrow(_sign(bands, band_rows, shingle), "node binary, units bigint, bands array<bigint>")
+    signed = in_small_batches(texts).mapInArrow(tidy(_sign(bands, band_rows, shingle)), "node binary, units bigint, bands array<bigint>")
     nodes = cut(signed.groupBy("node").agg(F.any_value("units").alias("units"), F.any_value("bands").alias("bands")))
     buckets = nodes.select("node", "units", F.explode("bands").alias("bucket"))
     leaders = buckets.groupBy("bucket").agg(F.min("node").alias("leader"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "leader")
@@ -211,7 +211,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
         placed = pairs.join(parts, "b").select("b", F.pmod(F.xxhash64("a"), "parts").alias("part"), "a").join(bodies.withColumnRenamed("node", "a"), "a").select("b", "part", "a", "text")
         leaders = parts.select("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part")).join(bodies.withColumnRenamed("node", "b"), "b").select("b", "part", F.lit(None).cast("binary").alias("a"), "text")
         rows = placed.unionByName(leaders).repartition("b", "part").sortWithinPartitions("b", "part", F.col("a").asc_nulls_first())
-        return cut(in_small_batches(rows).mapInArrow(_compare(threshold, shingle), "a binary, b binary"))
+        return cut(in_small_batches(rows).mapInArrow(tidy(_compare(threshold, shingle)), "a binary, b binary"))
 
     with_leader = cut(
         members.where("node <> leader").select(F.col("node").alias("a"), F.col("leader").alias("b"), F.col("units").alias("units_a")).distinct()
@@ -227,7 +227,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     keys = ["bucket", "low", "high"]
     blocks = placed.select("bucket", F.least("block", "with").alias("low"), F.greatest("block", "with").alias("high"), "block", "node", "root")
     more = blocks.join(bodies, "node").select(*keys, "block", "node", "root", "text").repartition(*keys).sortWithinPartitions(*keys)
-    more = cut(in_small_batches(more).mapInArrow(_join_components(threshold, shingle), "a binary, b binary"))
+    more = cut(in_small_batches(more).mapInArrow(tidy(_join_components(threshold, shingle)), "a binary, b binary"))
     if not more.isEmpty():
         found = cut(components(links.union(more)))
 
@@ -241,8 +241,9 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
 
 def keep_one(docs: DataFrame, broadcast_keys: int = BROADCAST_KEYS, **options) -> DataFrame:
     """docs without the rows that near_duplicates() puts in a class with a row kept: of each class the row with the smallest id stays (of equal rows, one). All columns stay as they are."""
-    id_col, text_col = options.get("id_col", "doc_id"), options.get("text_col", "text")
-    found = cut(near_duplicates(docs, **options).where("root is not null"))
+    names = docs.columns
+    docs, (id_col, text_col) = numbered(docs, options.pop("id_col", "doc_id"), options.pop("text_col", "text"))
+    found = cut(near_duplicates(docs, id_col=id_col, text_col=text_col, **options).where("root is not null"))
     content = F.unhex(F.md5(text_col))
     counted = found.groupBy(id_col, "content").agg(F.count(F.lit(1)).alias("n"), F.any_value("class_id").alias("class_id"), F.any_value("root").alias("root"))
     # of the texts under the class's id one is chosen; a class without ids keeps its first content
@@ -257,4 +258,4 @@ def keep_one(docs: DataFrame, broadcast_keys: int = BROADCAST_KEYS, **options) -
     repeated = judged.where("__kept and n > 1").select("__id", "__content")
     # rows that repeat under the id kept are few: one of each content stays
     once = docs.join(_small(repeated, broadcast_keys), same, "left_semi").dropDuplicates([id_col, text_col])
-    return plain.select(docs.columns).union(once.select(docs.columns))
+    return plain.select(docs.columns).union(once.select(docs.columns)).toDF(*names)

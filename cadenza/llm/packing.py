@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from cadenza.llm.common import in_small_batches
+from cadenza.llm.common import in_small_batches, tidy
 from cadenza.llm.tokens import Speller, batches_of
 
 WINDOW = 4096
@@ -183,4 +183,4 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int
             yield out(rows)
 
     kind = dict(docs.dtypes)[id_col]
-    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(run, f"id {kind}, {FIELDS}").withColumnRenamed("id", id_col)
+    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(tidy(run), f"id {kind}, {FIELDS}").withColumnRenamed("id", id_col)

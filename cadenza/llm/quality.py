@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut, in_small_batches
+from cadenza.llm.common import cut, in_small_batches, tidy
 from cadenza.llm.linear import Chosen, Logistic, choose, fit, sampled_rows
 from cadenza.llm.words import word_list
 
@@ -150,7 +150,7 @@ def vote_patterns(docs: DataFrame, text_col: str, *keep: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(codes, pa.int64()), *batch.columns[1:]], ["pattern", *keep])
 
     kinds = dict(docs.dtypes)
-    return in_small_batches(docs.select(text_col, *keep)).mapInArrow(run, ", ".join(["pattern bigint", *(f"{c} {kinds[c]}" for c in keep)])).where("pattern is not null")
+    return in_small_batches(docs.select(text_col, *keep)).mapInArrow(tidy(run), ", ".join(["pattern bigint", *(f"{c} {kinds[c]}" for c in keep)])).where("pattern is not null")
 
 
 def style_features(style: dict[str, float], first: int) -> list[int]:
@@ -180,7 +180,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", train
             p = labels.posterior(np.array([votes(s) for s in styles]).reshape(len(styles), LABELLERS))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), pa.array([style_features(s, 0) for s in styles], pa.list_(pa.int32()))], ["text", "good", "style"])
 
-    weak = cut(in_small_batches(sample.select("text")).mapInArrow(judged, "text string, good double, style array<int>"))
+    weak = cut(in_small_batches(sample.select("text")).mapInArrow(tidy(judged), "text string, good double, style array<int>"))
     buckets = choose(weak, ["good"], "text", features)
     n_style = BINS * len(measures(b""))
     rows, values = sampled_rows(weak.select("text", "good", "style"), buckets, ["good"], "text", extra="style")
@@ -206,4 +206,4 @@ def score(docs: DataFrame, scorer: Scorer, threshold: float = 0.5, id_col: str =
             weak = scorer.labels.posterior(np.array([votes(s) for s in styles]).reshape(len(styles), LABELLERS)) * worded
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(weak), pa.array(p), pa.array(p >= threshold)], ["id", "weak_label", "quality", "good"])
 
-    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, weak_label double, quality double, good boolean").withColumnRenamed("id", id_col)
+    return in_small_batches(docs.select(id_col, text_col)).mapInArrow(tidy(run), f"id {dict(docs.dtypes)[id_col]}, weak_label double, quality double, good boolean").withColumnRenamed("id", id_col)

@@ -27,13 +27,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from cadenza.llm.common import in_small_batches
+from cadenza.llm.common import in_small_batches, tidy
 
 #: Characters of a chunk, of the overlap at first, words that must agree, and pieces remembered by a worker (two generations of them).
 CHUNK_CHARS = 65_536
 OVERLAP_CHARS = 256
 RUN_WORDS = 3
-REMEMBERED = 250_000
+REMEMBERED = 200_000
 #: Texts are encoded together up to so many characters.
 TOGETHER_CHARS = 1 << 20
 
@@ -300,5 +300,5 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, limit: int = 2048, id_col
             )
 
     kind = dict(docs.dtypes)[id_col]
-    counted = in_small_batches(docs.select(id_col, text_col)).mapInArrow(run, f"id {kind}, n_bytes bigint, n_tokens bigint, over_limit boolean, n_chunks bigint")
+    counted = in_small_batches(docs.select(id_col, text_col)).mapInArrow(tidy(run), f"id {kind}, n_bytes bigint, n_tokens bigint, over_limit boolean, n_chunks bigint")
     return counted.withColumnRenamed("id", id_col)

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cadenza.llm.common import cut, in_small_batches
+from cadenza.llm.common import cut, in_small_batches, tidy
 from cadenza.llm.linear import Chosen, Logistic, choose_by_fold, fit, sampled_rows
 from cadenza.llm.words import word_list
 
@@ -112,7 +112,7 @@ def score(docs: DataFrame, chain: Chain, threshold: float = 0.5, id_col: str = "
     kinds = dict(docs.dtypes)
     names = ["__id", *(f"__p{j}" for j in range(n)), "__rejected", *(f"__k{j}" for j in range(len(keep)))]
     schema = ", ".join([f"__id {kinds[id_col]}", *(f"__p{j} double" for j in range(n)), "__rejected boolean", *(f"__k{j} {kinds[c]}" for j, c in enumerate(keep))])
-    return in_small_batches(docs.select(id_col, text_col, *keep)).mapInArrow(run, schema).toDF(id_col, *(f"p_{c}" for c in chain.categories), "rejected", *keep)
+    return in_small_batches(docs.select(id_col, text_col, *keep)).mapInArrow(tidy(run), schema).toDF(id_col, *(f"p_{c}" for c in chain.categories), "rejected", *keep)
 
 
 def keep_clean(docs: DataFrame, chain: Chain, threshold: float = 0.5, text_col: str = "text") -> DataFrame:
@@ -127,4 +127,4 @@ def keep_clean(docs: DataFrame, chain: Chain, threshold: float = 0.5, text_col:
             yield batch.filter(pa.array(clean, pa.bool_()))
 
     at = docs.columns.index(text_col)
-    return in_small_batches(docs).mapInArrow(run, docs.schema)
+    return in_small_batches(docs).mapInArrow(tidy(run), docs.schema)

@@ -10,7 +10,7 @@ _WORD_BYTES = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <
 
 SHINGLE_WORDS = 5
 #: Hashes of words remembered by a worker.
-REMEMBERED = 150_000
+REMEMBERED = 100_000
 
 _U = np.uint64
 _STEP = _U(0x9E3779B97F4A7C15)
