@@ -34,3 +34,9 @@ def test_asof_fill_has_all_users(spark, folder):
 def test_interval_join_has_all_users(spark, folder):
     want = sorted((a, b) for a, u, s, _ in EVENTS for b, v, t, _ in EVENTS if u == v and dt.timedelta(0) < t - s <= dt.timedelta(hours=1))
     assert sorted((r.a, r.b) for r in surface.interval_join(spark, folder).collect()) == want
+
+
+def test_spine_has_a_row_for_each_event(spark, folder):
+    """Before, the spine's 16 rows came from no table."""
+    got = sorted((r.user_id, r.pos, r.remaining) for r in surface.udtf_spine(spark, folder).collect())
+    assert got == sorted((u, k, 11 - k) for u in {u for _, u, _, _ in EVENTS} for k in range(12))
