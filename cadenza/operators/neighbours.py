@@ -87,8 +87,8 @@ def join_nearest(left: KIndex, right: KIndex, t: SpectralTransform | None, j: in
     """(id_l, id_r, dist, rank): the j nearest of right for each of left, t on both.
 
     Each left series first goes down right's tree, always to the nearest node that holds probe_points * j
-    points; of the points there the j-th best upper bound is its reach. Then it goes down once more,
-    into all nodes within its reach, and what it finds there is refined. If right holds fewer points, it gets them all.
+    points; of the points there that many with the best upper bounds are compared in full, and the j-th distance is its reach. Then it goes
+    down once more, into all nodes within its reach, and what it finds there is refined. If right holds fewer points, it gets them all.
     """
     t = t or identity(left.n)
     w = A.half_weights(t.n_out)
@@ -113,9 +113,12 @@ def join_nearest(left: KIndex, right: KIndex, t: SpectralTransform | None, j: in
     rest = tail_bound(t, right.freqs)
     tail = rest * (F.sqrt(F.greatest("tail_l", F.lit(0.0))) + F.sqrt(F.greatest("tail_r", F.lit(0.0))))
     at_most = F.sqrt(_prefix(right, t.n_out) + tail * tail)
-    probed = homes.join(placed, ["at", "node"]).where(different).select("id_l", at_most.alias("u"))
-    nth = F.row_number().over(Window.partitionBy("id_l").orderBy("u"))
-    reach = probed.withColumn("nth", nth).where(F.col("nth") <= j).groupBy("id_l").agg(F.max("u").alias("u"), F.count(F.lit(1)).alias("n"))
+    probed = homes.join(placed, ["at", "node"]).where(different).select("id_l", "id_r", at_most.alias("u"))
+    # bounds by tails are loose: of the points that look best the full distances are taken
+    nth = F.row_number().over(Window.partitionBy("id_l").orderBy("u", "id_r"))
+    looked_at = keep(refine_pairs(left, right, probed.withColumn("nth", nth).where(F.col("nth") <= need).select("id_l", "id_r"), t, t, 1e150))
+    best = F.row_number().over(Window.partitionBy("id_l").orderBy("dist", "id_r"))
+    reach = looked_at.withColumn("nth", best).where(F.col("nth") <= j).groupBy("id_l").agg(F.max("dist").alias("u"), F.count(F.lit(1)).alias("n"))
     reach = reach.where(F.col("n") == j).select("id_l", (F.col("u") * (1 + 1e-9) + SLACK).alias("reach"))
     reaching = outer.select("id_l", *names).join(reach, "id_l", "left").withColumn("reach", F.coalesce("reach", F.lit(math.inf)))
     near = descend(reaching, right, t, box <= F.col("reach")).join(inner, "leaf_r")
