@@ -87,3 +87,40 @@ def test_two_of_each_class(spark):
     of = copies.members(more)
     assert {(q.series_id, q.class_id) for q in of.collect()} == {(i + 1000 * k, i + 1000) for i in range(6) for k in range(1, 4)}
     assert sorted(q.series_id for q in copies.few(more, of, 2).df.collect()) == [*range(1000, 1006), *range(2000, 2006)]
+
+
+def shuffled_rows(df):
+    """Rows that all shuffles of a plan wrote, once it has run."""
+    plan = df._jdf.queryExecution().executedPlan()
+    count, todo = 0, [plan.finalPhysicalPlan() if plan.getClass().getSimpleName() == "AdaptiveSparkPlanExec" else plan]
+    while todo:
+        node = todo.pop()
+        name = node.getClass().getSimpleName()
+        if name.endswith("QueryStageExec"):
+            todo.append(node.plan())
+            continue
+        if name == "ShuffleExchangeExec":
+            count += node.metrics().apply("shuffleRecordsWritten").value()
+        todo += [node.children().apply(i) for i in range(node.children().size())]
+    return count
+
+
+@pytest.mark.parametrize("join", [lambda ix, t: joins.index_nested_loop(ix, t, 3.0), lambda ix, t: joins.self_join(ix, t, 3.0)])
+def test_no_pair_is_shuffled_before_it_is_an_answer(spark, join):
+    """Most pairs are near in two coefficients here; only series and what to compare go to other tasks."""
+    r, _ = walks(spark, 600)
+    df = join(kindex.build(r), T.moving_average(32, 5))
+    pairs = len(df.collect())
+    assert pairs > 12_000 and shuffled_rows(df) < 12_000
+
+
+def test_pairs_by_products_are_those_by_differences():
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(400, 18)) * 1000
+    x[200:] = x[:200] + rng.normal(size=(200, 18)) * np.logspace(-9, 3, 200)[:, None]
+    d = np.sqrt(np.square(x[:, None] - x[None]).sum(axis=2))
+    for eps in (1e-6, 1.0, d[3, 203], 4000.0, rng.uniform(0, 5000, 400)):
+        for first in (None, [0, 1]):
+            i, j, dist = joins.within(x, x, eps, first)
+            assert {*zip(i.tolist(), j.tolist())} == {*zip(*(c.tolist() for c in np.nonzero(d <= np.reshape(eps, (-1, 1)))))}
+            assert np.abs(dist - d[i, j]).max() < 1e-5 and np.abs(dist - d[i, j])[d[i, j] < 1].max() < 1e-9
