@@ -124,3 +124,12 @@ def test_pairs_by_products_are_those_by_differences():
             i, j, dist = joins.within(x, x, eps, first)
             assert {*zip(i.tolist(), j.tolist())} == {*zip(*(c.tolist() for c in np.nonzero(d <= np.reshape(eps, (-1, 1)))))}
             assert np.abs(dist - d[i, j]).max() < 1e-5 and np.abs(dist - d[i, j])[d[i, j] < 1].max() < 1e-9
+
+
+def test_pairs_of_two_joins_that_differ(spark):
+    """Counts of what only one of two sets has; and where they are the same, no pair of either is shuffled."""
+    pairs = lambda rows: spark.createDataFrame(rows, "id_l long, id_r long")
+    all_of = [(i, j) for i in range(40) for j in range(i + 1, 40)]
+    assert workloads.differing(lambda: pairs(all_of), lambda: pairs(all_of[::-1])) == (0, 0)
+    assert workloads.differing(lambda: pairs(all_of), lambda: pairs([*all_of[7:], (50, 51), (0, 99)])) == (7, 2)
+    assert workloads.differing(lambda: pairs(all_of[:0]), lambda: pairs(all_of)) == (0, len(all_of))
