@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -14,7 +16,7 @@ from cadenza.functions import geometry as G
 from cadenza.functions.safety import is_safe
 from cadenza.functions.transforms import SpectralTransform, identity
 from cadenza.model import SLACK
-from cadenza.operators.joins import _points, _prefix, descend, refine_pairs, tail_bound
+from cadenza.operators.joins import OUT_PAIRS, TILE_PAIRS, Tile, Work, _found, _points, _spectra, _stored, _vectors, descend, each_key, gathered, in_tiles, leaf_tile, places, tail_bound, tile_rows, tiles_for, within
 from cadenza.operators.kindex import BROADCAST_NODES, FAN_OUT, KIndex, boxes, view
 from cadenza.operators.range_search import refine, search
 from cadenza.plans.planner import plan_search, prefix_square
@@ -87,17 +89,16 @@ def join_nearest(left: KIndex, right: KIndex, t: SpectralTransform | None, j: in
     """(id_l, id_r, dist, rank): the j nearest of right for each of left, t on both.
 
     Each left series first goes down right's tree, always to the nearest node that holds probe_points * j
-    points; of the points there that many with the best upper bounds are compared in full, and the j-th distance is its reach. Then it goes
-    down once more, into all nodes within its reach, and what it finds there is refined. If right holds fewer points, it gets them all.
+    points; it is compared with the points there in full, and the j-th distance is its reach. Then it goes
+    down once more, into all nodes within its reach, and is compared with what it finds there; each task keeps the j nearest it has seen. If right holds fewer points, it gets them all.
+    Series and the nodes they reach are shuffled, and no pairs but the j nearest of each task.
     """
     t = t or identity(left.n)
-    w = A.half_weights(t.n_out)
+    n_out, w = t.n_out, A.half_weights(t.n_out)
     names = [f"{p}{f}_l" for f in right.freqs for p in ("re", "im")]
-    outer = _points(left, t, "l").drop("leaf_l").join(left.features.select(F.col("series_id").alias("id_l"), F.col("tail_energy").alias("tail_l")), "id_l")
+    outer = _points(left, t, "l")
     # boxes are mapped by view(), so the distance is taken to them as they are
     box = F.sqrt(reduce(lambda x, y: x + y, (G.box_distance_square(f, 1 + 0j, F.col(f"re{f}_l"), F.col(f"im{f}_l"), right.space) * float(w[f]) for f in right.freqs)))
-    inner = _points(right, t, "r").join(right.features.select(F.col("series_id").alias("id_r"), F.col("tail_energy").alias("tail_r")), "id_r")
-    different = F.col("id_l") != F.col("id_r") if distinct_ids else F.lit(True)
     seen = view(right, t)
     need = probe_points * j
     home = outer.select("id_l", *names, F.lit(0).cast("long").alias("node"), F.lit(right.levels - 1).alias("at"))
@@ -106,23 +107,83 @@ def join_nearest(left: KIndex, right: KIndex, t: SpectralTransform | None, j: in
         below = F.broadcast(below) if right.leaves <= BROADCAST_NODES * FAN_OUT**level else below
         nearest = home.where(F.col("at") == level + 1).join(below, F.col("node") == F.col("up")).groupBy("id_l").agg(F.min_by("child", F.struct(box, F.col("child"))).alias("child"))
         home = home.join(nearest, "id_l", "left").select("id_l", *names, F.coalesce("child", "node").alias("node"), F.when(F.col("child").isNull(), F.col("at")).otherwise(F.lit(level)).alias("at"))
-    # points by the node they are under, at each level that is some series' home
-    placed = inner.select("*", F.explode(F.transform(F.array(*(F.lit(x) for x in range(right.levels))), lambda k: F.struct(k.alias("at"), F.floor(F.col("leaf_r") / F.pow(F.lit(float(FAN_OUT)), k)).cast("long").alias("node")))).alias("u")).select("*", "u.at", "u.node").drop("u")
-    homes = keep(home.join(outer.select("id_l", "tail_l"), "id_l"))
-    placed = placed.join(F.broadcast(keep(homes.select("at", "node").distinct())) if right.leaves <= BROADCAST_NODES else homes.select("at", "node").distinct(), ["at", "node"], "left_semi")
-    rest = tail_bound(t, right.freqs)
-    tail = rest * (F.sqrt(F.greatest("tail_l", F.lit(0.0))) + F.sqrt(F.greatest("tail_r", F.lit(0.0))))
-    at_most = F.sqrt(_prefix(right, t.n_out) + tail * tail)
-    probed = homes.join(placed, ["at", "node"]).where(different).select("id_l", "id_r", at_most.alias("u"))
-    # bounds by tails are loose: of the points that look best the full distances are taken
-    nth = F.row_number().over(Window.partitionBy("id_l").orderBy("u", "id_r"))
-    looked_at = keep(refine_pairs(left, right, probed.withColumn("nth", nth).where(F.col("nth") <= need).select("id_l", "id_r"), t, t, 1e150))
-    best = F.row_number().over(Window.partitionBy("id_l").orderBy("dist", "id_r"))
-    reach = looked_at.withColumn("nth", best).where(F.col("nth") <= j).groupBy("id_l").agg(F.max("dist").alias("u"), F.count(F.lit(1)).alias("n"))
-    reach = reach.where(F.col("n") == j).select("id_l", (F.col("u") * (1 + 1e-9) + SLACK).alias("reach"))
-    reaching = outer.select("id_l", *names).join(reach, "id_l", "left").withColumn("reach", F.coalesce("reach", F.lit(math.inf)))
-    near = descend(reaching, right, t, box <= F.col("reach")).join(inner, "leaf_r")
-    near = near.where(different & (F.sqrt(_prefix(right, t.n_out)) <= F.col("reach"))).select("id_l", "id_r")
-    full = refine_pairs(left, right, near, t, t, 1e150)
+    homes = keep(home.select("id_l", "at", "node"))
+    reaching = outer.join(keep(_reaches(left, right, t, j, homes, distinct_ids)), "id_l", "left").withColumn("reach", F.coalesce("reach", F.lit(math.inf)))
+    tiles = tuple(tiles_for(ix.features.count()) for ix in (left, right))
+    ahead = box <= F.col("reach")
+    if right.space == "polar":
+        # magnitudes alone rule most nodes out, at little cost
+        reaching = reaching.withColumns({f"m{f}_l": F.hypot(f"re{f}_l", f"im{f}_l") for f in right.freqs})
+        side = lambda f: F.col("reach") / float(math.sqrt(w[f])) + SLACK
+        ahead = reduce(lambda x, y: x & y, ((F.col(f"lo_m{f}") <= F.col(f"m{f}_l") + side(f)) & (F.col(f"hi_m{f}") >= F.col(f"m{f}_l") - side(f)) for f in right.freqs)) & ahead
+    # a series is a small row, but much work
+    reaching = reaching.repartition(4 * reaching.sparkSession.sparkContext.defaultParallelism)
+    work = descend(reaching, right, t, ahead).select(leaf_tile(left, "leaf_l", tiles[0]).alias("i"), leaf_tile(right, "leaf_r", tiles[1]).alias("j"), F.col("id_l").alias("a"), F.col("leaf_r").alias("b"), "reach")
+    first = _stored(right, n_out)
+
+    def compare(of_l: int, of_r: int, a: Tile, b: Tile, todo: Work) -> Iterator[pa.RecordBatch]:
+        at, reach = places(a.ids, todo.a), np.full(len(a.x), math.inf)
+        reach[at] = todo.reach
+        best, more, held = (np.empty(0, int), np.empty(0), np.empty(0, int)), [], 0
+
+        def kept() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            row, dist, ids = (np.concatenate(c) for c in zip(best, *more))
+            by = np.lexsort((ids, dist, row))
+            row, dist, ids = row[by], dist[by], ids[by]
+            nth = np.arange(len(row)) - np.searchsorted(row, row)
+            last = nth == j - 1
+            reach[row[last]] = np.minimum(reach[row[last]], dist[last] * (1 + 1e-9) + SLACK)
+            return row[nth < j], dist[nth < j], ids[nth < j]
+
+        for _, mine, theirs in todo.by_leaf(b):
+            step = max(1, TILE_PAIRS // max(1, theirs.stop - theirs.start))
+            for k in range(mine.start, mine.stop, step):
+                some = at[k : min(k + step, mine.stop)]
+                i, near, dist = within(a.x[some], b.x[theirs], reach[some], first, exact=True)
+                row, ids = some[i], b.ids[theirs][near]
+                use = a.ids[row] != ids if distinct_ids else slice(None)
+                more.append((row[use], dist[use], ids[use]))
+                held += len(more[-1][0])
+                if held > OUT_PAIRS:
+                    best, more, held = kept(), [], 0
+        row, dist, ids = kept()
+        yield _found(a.ids[row], ids, dist)
+
+    every = [list(range(tiles[1]))] * tiles[0], [list(range(tiles[0]))] * tiles[1]
+    rows_l = tile_rows(_spectra(left, t), leaf_tile(left, "leaf_id", tiles[0]), every[0], True)
+    rows_r = tile_rows(_spectra(right, t), leaf_tile(right, "leaf_id", tiles[1]), every[1], False)
+    full = in_tiles(rows_l, rows_r, work, tiles, n_out, compare, "id_l bigint, id_r bigint, dist double")
     rank = F.row_number().over(Window.partitionBy("id_l").orderBy("dist", "id_r"))
     return full.withColumn("rank", rank).where(F.col("rank") <= j)
+
+
+def _reaches(left: KIndex, right: KIndex, t: SpectralTransform, j: int, homes: DataFrame, distinct_ids: bool) -> DataFrame:
+    """(id_l, reach) from homes (id_l, at, node): a distance within which the j nearest points of each series' node are; none where it has fewer."""
+    n_out = t.n_out
+    levels = F.array(*(F.struct(F.lit(k).alias("at"), F.floor(F.col("leaf_id") / float(FAN_OUT**k)).cast("long").alias("node")) for k in range(right.levels)))
+    used = homes.select("at", "node").distinct()
+    points = _spectra(right, t).select("series_id", "re", "im", F.explode(levels).alias("u")).select("u.at", "u.node", F.lit(0).alias("side"), F.col("series_id").alias("a"), "re", "im")
+    points = points.join(F.broadcast(used) if right.leaves <= BROADCAST_NODES else used, ["at", "node"], "left_semi")
+    own = _spectra(left, t).join(homes, F.col("series_id") == F.col("id_l")).select("at", "node", F.lit(1).alias("side"), F.col("id_l").alias("a"), "re", "im")
+
+    def compare(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        cut = int(np.searchsorted(batch.column(2).to_numpy(), 1))
+        if cut == 0 or cut == batch.num_rows:
+            return
+        ids, x = batch.column(3).to_numpy(), _vectors(batch, n_out)
+        x, y, ids_l, ids_r = x[cut:], x[:cut], ids[cut:], ids[:cut]
+        step = max(1, TILE_PAIRS // len(y))
+        for k in range(0, len(x), step):
+            some = x[k : k + step]
+            sizes = np.square(some).sum(axis=1)[:, None] + np.square(y).sum(axis=1)
+            # products lose digits: what they may lose is added
+            square = np.maximum(sizes - 2 * (some @ y.T), 0) + 1e-9 * sizes
+            if distinct_ids:
+                square[ids_l[k : k + step, None] == ids_r] = math.inf
+            reach = np.sqrt(np.partition(square, j - 1, axis=1)[:, j - 1]) if len(y) >= j else np.full(len(some), math.inf)
+            held = np.isfinite(reach)
+            yield pa.RecordBatch.from_arrays([pa.array(ids_l[k : k + step][held]), pa.array(reach[held] * (1 + 1e-9) + SLACK)], ["id_l", "reach"])
+
+    dealt = points.unionByName(own).repartition("at", "node").sortWithinPartitions("at", "node", "side")
+    run = each_key(("at", "node"), compare)
+    return dealt.mapInArrow(lambda batches: gathered(run(batches)), "id_l bigint, reach double")
